@@ -8,11 +8,16 @@ from pyspark.sql import DataFrame, SparkSession
 
 from stagefilter.llm.common import table
 from stagefilter.llm.mixing import mix_sources
+from stagefilter.llm.packing import pack
 from stagefilter.llm.pii import personal_data
 from stagefilter.llm.quality import quality_rules
 from stagefilter.llm.secrets import find_secrets
 
 
+def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(table(spark, sf_dir, "documents"))
+
+
 def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
     return find_secrets(table(spark, sf_dir, "documents"))
 
@@ -30,7 +35,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op9_quality_rules": op9_quality_rules}
+    return {"op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op9_quality_rules": op9_quality_rules}
 
 
 def oracle_sql() -> dict[str, str]:
