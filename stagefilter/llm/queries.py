@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
+from stagefilter.llm.langid import identify
 from stagefilter.llm.mixing import mix_sources
 from stagefilter.llm.packing import pack
 from stagefilter.llm.pii import personal_data
@@ -15,6 +16,10 @@ from stagefilter.llm.quality import quality_rules
 from stagefilter.llm.secrets import find_secrets
 
 
+def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return identify(table(spark, sf_dir, "documents"))
+
+
 def op2_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents"))
 
@@ -41,7 +46,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules}
+    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules}
 
 
 def oracle_sql() -> dict[str, str]:
