@@ -101,25 +101,28 @@ class ByteNet:
             np.add.at(g["emb"], codes, d[:, :, None, None] * self.p[f"conv{w}"].reshape(w, cfg.size, cfg.filters).transpose(2, 0, 1)[None])
         return g
 
-    def tables(self) -> list[list[np.ndarray]]:
-        """Per width the response tables of its byte pairs, and of the last byte if the width is odd."""
-        out = []
-        for w in self.cfg.widths:
+    def tables(self) -> tuple[np.ndarray, list[tuple[int, int, np.ndarray]]]:
+        """One table of byte-pair responses for the first pair of all widths, and what later pairs (or a last byte) add: (column, place, table)."""
+        heads, later = [], []
+        for k, w in enumerate(self.cfg.widths):
             conv = self.p[f"conv{w}"].reshape(w, self.cfg.size, self.cfg.filters)
-            single = [self.p["emb"] @ c for c in conv]
-            out.append([(single[i][:, None] + single[i + 1][None]).reshape(65536, -1) if i + 1 < w else single[i] for i in range(0, w, 2)])
-        return out
-
-    def log_probabilities(self, x: np.ndarray, tables: list[list[np.ndarray]]) -> np.ndarray:
-        pairs = x[:, :-1].astype(np.int32) * 256 + x[:, 1:]
-        pooled = []
-        for w, parts in zip(self.cfg.widths, tables, strict=True):
-            n = x.shape[1] - w + 1
-            r = np.take(parts[0], pairs[:, :n], axis=0)
-            for i, part in enumerate(parts[1:], 1):
-                r += np.take(part, pairs[:, 2 * i : 2 * i + n] if len(part) == 65536 else x[:, 2 * i : 2 * i + n], axis=0)
-            pooled.append(r.max(axis=1))
-        z = np.maximum(np.concatenate(pooled, axis=1), 0) @ self.p["out"] + self.p["bias"]
+            single = [np.ascontiguousarray(self.p["emb"] @ c) for c in conv]
+            pair = lambda i: (single[i][:, None] + single[i + 1][None]).reshape(65536, -1)  # noqa: B023, E731
+            heads.append(pair(0))
+            later += [(k, i, pair(i) if i + 1 < w else single[i]) for i in range(2, w, 2)]
+        return np.ascontiguousarray(np.concatenate(heads, axis=1)), later
+
+    def log_probabilities(self, x: np.ndarray, tables: tuple[np.ndarray, list]) -> np.ndarray:
+        """Of windows x (rows). Places lie on the first axis, so that the pooling runs along whole rows of memory."""
+        head, later = tables
+        f, widest = self.cfg.filters, max(self.cfg.widths)
+        x = np.ascontiguousarray(x.T)
+        pairs = x[:-1].astype(np.int32) * 256 + x[1:]
+        n = len(x) - widest + 1
+        r = np.take(head, pairs[:n], axis=0, mode="clip")
+        for k, i, part in later:
+            r[:, :, k * f : (k + 1) * f] += np.take(part, (pairs if len(part) == 65536 else x)[i : i + n], axis=0, mode="clip")
+        z = np.maximum(r.max(axis=0), 0) @ self.p["out"] + self.p["bias"]
         z = z - z.max(axis=1, keepdims=True)
         return z - np.log(np.exp(z).sum(axis=1, keepdims=True))
 
@@ -127,7 +130,7 @@ class ByteNet:
 def windows_of(text: bytes, cfg: ByteConv) -> np.ndarray:
     """All windows of a text as rows of bytes, zero padded, each starting where a filter of the one before could not reach."""
     step = cfg.length - max(cfg.widths) + 1
-    n = max(1, -(-(len(text) - max(cfg.widths) + 1) // step))
+    n = max(1, -(-len(text) // step))
     buffer = np.zeros((n - 1) * step + cfg.length, np.uint8)
     buffer[: len(text)] = np.frombuffer(text, np.uint8)
     return np.lib.stride_tricks.sliding_window_view(buffer, cfg.length)[::step]
@@ -160,7 +163,7 @@ def has_letter(text: str) -> bool:
     return any(map(str.isalpha, text[:64])) or any(map(str.isalpha, text[64:]))
 
 
-def _predictor(net: ByteNet | None, most: int = 512):
+def _predictor(net: ByteNet | None, most: int = 64):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tables = net.tables() if net else None
         for batch in batches:
@@ -184,7 +187,7 @@ def _predictor(net: ByteNet | None, most: int = 512):
                     w = windows_of(text.encode(), net.cfg)
                     rows.append(w)
                     owners += [i] * len(w)
-                    if len(owners) >= 8 * most:
+                    if len(owners) >= 64 * most:
                         flush()
             if owners:
                 flush()
