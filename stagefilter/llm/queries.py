@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
+from stagefilter.llm.jaccard import jaccard_classes
 from stagefilter.llm.langid import identify
 from stagefilter.llm.mixing import mix_sources
 from stagefilter.llm.packing import pack
@@ -36,6 +37,10 @@ def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return personal_data(table(spark, sf_dir, "documents"))
 
 
+def op7_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard_classes(table(spark, sf_dir, "documents"))
+
+
 def op8_ann(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = table(spark, sf_dir, "embeddings")
     return nearest(vectors, vectors.filter("vec_id % 50 = 0"))
@@ -46,7 +51,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules}
+    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules}
 
 
 def oracle_sql() -> dict[str, str]:
