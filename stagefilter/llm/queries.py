@@ -10,6 +10,7 @@ from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
 from stagefilter.llm.jaccard import jaccard_classes
 from stagefilter.llm.langid import identify
+from stagefilter.llm.linededup import line_classes
 from stagefilter.llm.mixing import mix_sources
 from stagefilter.llm.packing import pack
 from stagefilter.llm.pii import personal_data
@@ -50,8 +51,12 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_rules(table(spark, sf_dir, "documents"))
 
 
+def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return line_classes(table(spark, sf_dir, "documents")).drop("version")
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules}
+    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules, "op10_line_dedup": op10_line_dedup}
 
 
 def oracle_sql() -> dict[str, str]:
