@@ -16,6 +16,7 @@ from stagefilter.llm.packing import pack
 from stagefilter.llm.pii import personal_data
 from stagefilter.llm.quality import quality_rules
 from stagefilter.llm.secrets import find_secrets
+from stagefilter.llm.substring import substring_dedup
 
 
 def op1_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -34,6 +35,10 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mix_sources(table(spark, sf_dir, "documents"))
 
 
+def op5_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup(table(spark, sf_dir, "documents"))
+
+
 def op6_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
     return personal_data(table(spark, sf_dir, "documents"))
 
@@ -56,7 +61,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules, "op10_line_dedup": op10_line_dedup}
+    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op5_substring_dedup": op5_substring_dedup, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules, "op10_line_dedup": op10_line_dedup}
 
 
 def oracle_sql() -> dict[str, str]:
