@@ -6,6 +6,8 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
+
 from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
 from stagefilter.llm.jaccard import jaccard_classes
@@ -61,7 +63,7 @@ def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op5_substring_dedup": op5_substring_dedup, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules, "op10_line_dedup": op10_line_dedup}
+    return {"op1_language_id": op1_language_id, "op2_packing": op2_packing, "op3_secrets": op3_secrets, "op4_mixing": op4_mixing, "op5_substring_dedup": op5_substring_dedup, "op6_pii": op6_pii, "op7_jaccard_join": op7_jaccard_join, "op8_ann": op8_ann, "op9_quality_rules": op9_quality_rules, "op10_line_dedup": op10_line_dedup, "pipeline": corpus_pipeline.run}
 
 
 def oracle_sql() -> dict[str, str]:
