@@ -213,7 +213,6 @@ def without_repeated_lines(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataF
     edges = F.concat(F.array(F.lit(-1)), F.col("_gone"), F.array(F.size(parts)))
     runs = F.flatten(F.transform(F.slice(edges, F.lit(2), F.size(edges) - 1), lambda e, i: F.slice(parts, F.get(edges, i) + 2, e - F.get(edges, i) - 1)))
     text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(runs, "\n"))
-    own = {"text": text}
-    if "n_chars" in docs.columns:
-        own["n_chars"] = F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length(text))
-    return joined.select(*[own.get(c, F.col(c)).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])
+    rebuilt = joined.withColumn("text", text)
+    own = {"n_chars": F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text"))} if "n_chars" in docs.columns else {}
+    return rebuilt.select(*[own.get(c, F.col(c)).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])
