@@ -18,6 +18,7 @@ FIRST = (1664525013, 1013904223, 69069)
 STEP = (1103515245, 1812433253, 22695477)
 BLOCK = (1597334677, 747796405, 48271)
 BLOCK_BITS = 32768
+SECOND = 12345
 
 
 def element_hash(eid: Column) -> Column:
@@ -29,33 +30,35 @@ def uniform(salt: str, eid: Column) -> Column:
     return F.conv(F.substring(F.md5(F.concat(F.lit(salt), eid.cast("string")).cast("binary")), 1, 8), 16, 10).cast("bigint") / F.lit(float(1 << 32))
 
 
-def _mix(h, seed, m, lib):
-    u, v = (F.floor(h / HALF).cast("bigint"), h % HALF) if lib is F else (h // HALF, h % HALF)
-    return (u * m[0] + v * m[1] + seed * m[2]) % PRIME
+def _mix(h, seed, m):
+    """A seed changes both multipliers, so hashes of different seeds are not shifts of each other."""
+    return (h // HALF * ((m[0] + seed * m[2]) % PRIME) + h % HALF * ((m[1] + seed * (m[2] + SECOND)) % PRIME)) % PRIME
+
+
+def _mix_col(h: Column, seed: Column, m) -> Column:
+    return (F.shiftright(h, 30) * ((m[0] + seed * m[2]) % PRIME) + h.bitwiseAND(HALF - 1) * ((m[1] + seed * (m[2] + SECOND)) % PRIME)) % PRIME
 
 
 def positions(h: Column, seed: Column | int, k: Column | int, m: Column | int) -> Column:
     """Array of k positions below m. All of seed, k and m may be columns."""
     seed, k, m = (F.lit(x).cast("bigint") if isinstance(x, int) else x.cast("bigint") for x in (seed, k, m))
-    u, v = F.shiftright(h, 30), h.bitwiseAND(HALF - 1)
-    first = (u * FIRST[0] + v * FIRST[1] + seed * FIRST[2]) % PRIME
-    step = (u * STEP[0] + v * STEP[1] + seed * STEP[2]) % PRIME
+    first, step = _mix_col(h, seed, FIRST), _mix_col(h, seed, STEP)
     return F.transform(F.sequence(F.lit(0).cast("bigint"), k - 1), lambda i: (first + i * (step % F.greatest(m - 1, F.lit(1).cast("bigint")) + 1)) % m)
 
 
 def block_of(h: Column, seed: Column | int, blocks: Column | int) -> Column:
     seed, blocks = (F.lit(x).cast("bigint") if isinstance(x, int) else x.cast("bigint") for x in (seed, blocks))
-    return (F.shiftright(h, 30) * BLOCK[0] + h.bitwiseAND(HALF - 1) * BLOCK[1] + seed * BLOCK[2]) % PRIME % blocks
+    return _mix_col(h, seed, BLOCK) % blocks
 
 
 def positions_np(h: np.ndarray, seed: int, k: int, m: int) -> np.ndarray:
     """Rows of k positions."""
-    first, step = _mix(h, seed, FIRST, np), _mix(h, seed, STEP, np)
+    first, step = _mix(h, seed, FIRST), _mix(h, seed, STEP)
     return (first[:, None] + np.arange(k) * (step % max(m - 1, 1) + 1)[:, None]) % m
 
 
 def block_np(h: np.ndarray, seed: int, blocks: int) -> np.ndarray:
-    return _mix(h, seed, BLOCK, np) % blocks
+    return _mix(h, seed, BLOCK) % blocks
 
 
 def hash_sql(eid: str) -> str:
@@ -66,12 +69,13 @@ def uniform_sql(salt: str, eid: str) -> str:
     return f"((('0x' || substr(md5('{salt}' || {eid}), 1, 8))::BIGINT) / 4294967296.0)"
 
 
-def position_sql(h: str, seed, i: str, m) -> str:
-    def mix(c):
-        return f"((({h} >> 30) * {c[0]} + ({h} & {HALF - 1}) * {c[1]} + ({seed}) * {c[2]}) % {PRIME})"
+def _mix_sql(h: str, seed, m) -> str:
+    return f"((({h} >> 30) * (({m[0]} + ({seed}) * {m[2]}) % {PRIME}) + ({h} & {HALF - 1}) * (({m[1]} + ({seed}) * {m[2] + SECOND}) % {PRIME})) % {PRIME})"
 
-    return f"(({mix(FIRST)} + ({i}) * ({mix(STEP)} % greatest(({m}) - 1, 1) + 1)) % ({m}))"
+
+def position_sql(h: str, seed, i: str, m) -> str:
+    return f"(({_mix_sql(h, seed, FIRST)} + ({i}) * ({_mix_sql(h, seed, STEP)} % greatest(({m}) - 1, 1) + 1)) % ({m}))"
 
 
 def block_sql(h: str, seed, blocks) -> str:
-    return f"(((({h} >> 30) * {BLOCK[0]} + ({h} & {HALF - 1}) * {BLOCK[1]} + ({seed}) * {BLOCK[2]}) % {PRIME}) % ({blocks}))"
+    return f"({_mix_sql(h, seed, BLOCK)} % ({blocks}))"

@@ -55,7 +55,7 @@ class CuckooFilter:
 
     def _places(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         h = np.asarray(h, np.int64)
-        print_ = block_np(h, self.seed + 7919, (1 << self.bits) - 1) + 1
+        print_ = positions_np(h, self.seed + 7919, 1, (1 << self.bits) - 1)[:, 0] + 1
         a = block_np(h, self.seed, self.buckets)
         return print_, a, a ^ (block_np(print_, self.seed + 1, self.buckets))
 
@@ -119,7 +119,7 @@ class QuotientFilter:
 
     def _codes(self, h: np.ndarray) -> np.ndarray:
         h = np.asarray(h, np.int64)
-        return block_np(h, self.seed, self.quotients) * (1 << self.remainder) + block_np(h, self.seed + 104729, 1 << self.remainder)
+        return block_np(h, self.seed, self.quotients) * (1 << self.remainder) + positions_np(h, self.seed + 104729, 1, 1 << self.remainder)[:, 0]
 
     def insert(self, h: np.ndarray) -> None:
         self.codes = np.sort(np.concatenate([self.codes, self._codes(h)]))
