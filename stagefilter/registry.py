@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stagefilter.queries import method
+from stagefilter.queries import method, operators
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -14,8 +14,8 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return dict(method.Q)
+    return method.Q | operators.Q
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(method.SQL)
+    return method.SQL | operators.SQL
