@@ -8,6 +8,7 @@ from pyspark.sql import DataFrame, SparkSession
 
 import corpus_pipeline
 
+from stagefilter.llm import twins
 from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
 from stagefilter.llm.jaccard import jaccard_classes
@@ -67,4 +68,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {"op7_jaccard_join": twins.JACCARD, "op9_quality_rules": twins.QUALITY}
