@@ -4,9 +4,10 @@ Two lines within `edits` edits share at least one of the edits + 1 segments of t
 one, at a place that the edits cannot have moved far. So each distinct line of length L is
 filed under its segments (hash of length, segment number and content), and probes the
 files of the lengths L - edits .. L with the few substrings that can match, chosen by the
-multi-match rule. Candidates must also have letter counts that so few edits explain.
-Candidates are verified by a banded bit-parallel edit distance after common heads and
-tails are cut. Links join lines to classes; of each class the first line (least doc_id, then
+multi-match rule. Keys are shuffled once and only those with two different lines, one of
+them filed, go on; texts are fetched for their lines alone. Candidates must also have
+letter counts that so few edits explain, and are verified by a banded bit-parallel edit
+distance after common heads and tails are cut. Links join lines to classes; of each class the first line (least doc_id, then
 least line number) stays and all others are removed.
 
 Lines shorter than `least` characters are only compared for equality. Lines without a word
@@ -24,7 +25,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from stagefilter.llm.common import OTHER_SPACE, cut, release_finished_shuffles
+from stagefilter.llm.common import cut, release_finished_shuffles
 from stagefilter.llm.components import components
 
 #: Characters that are counted for the candidate filter; each count has one byte of the signature.
@@ -33,12 +34,15 @@ COUNTED = "etanio "
 
 @dataclass(frozen=True)
 class LineJoin:
+    """edits: most edits between lines that are linked; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling."""
+
     edits: int = 1
     least: int = 20
+    broadcast_ids: int = 2_000_000
 
 
 def has_word(line: Column) -> Column:
-    return F.trim(F.translate(line, OTHER_SPACE, " " * len(OTHER_SPACE))) != ""
+    return F.rlike(line, F.lit("[^\\x20\\x09-\\x0D]"))
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
@@ -166,16 +170,25 @@ def within_edits(a: Column, b: Column, edits: int) -> Column:
 
 
 def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
-    """All pairs (a < b) of ids of different lines within cfg.edits edits. lines: distinct lines in column `line`, each at least cfg.least long."""
+    """All pairs (a < b) of ids of different lines within cfg.edits edits. lines: column `line`, each at least cfg.least long; repeated lines are one."""
     n = F.length("line")
-    filed = lines.select(F.xxhash64("line").alias("id"), signature(F.col("line")).alias("sig"), filed_keys(F.col("line"), n, cfg.edits).alias("f"), probe_keys(F.col("line"), n, cfg.edits).alias("p"))
-    index = filed.select("id", "sig", F.explode("f").alias("key")).alias("x")
-    probe = filed.select("id", "sig", F.explode("p").alias("key")).alias("y")
-    fits = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") != F.col("y.id")) & signatures_close(F.col("x.sig"), F.col("y.sig"), cfg.edits)
-    pairs = cut(index.join(probe, fits).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct())
+    tagged = lambda keys, filed: F.transform(keys, lambda k: F.struct(k.alias("key"), F.lit(filed).alias("filed")))
+    keys = F.concat(tagged(filed_keys(F.col("line"), n, cfg.edits), True), tagged(F.array_except(probe_keys(F.col("line"), n, cfg.edits), filed_keys(F.col("line"), n, cfg.edits)), False))
+    rows = lines.select(F.xxhash64("line").alias("id"), F.explode(keys).alias("k")).select("id", "k.key", "k.filed")
+    by = Window.partitionBy("key")
+    shared = rows.select("id", "key", "filed", F.min("id").over(by).alias("low"), F.max("id").over(by).alias("high"), F.max("filed").over(by).alias("some"))
+    # what is filed under a key also probes it: at equal length the only place is the segment's own
+    met = cut(shared.filter("low < high and some").select("id", "key", "filed").distinct())
     release_finished_shuffles(lines.sparkSession)
-    needed = pairs.select(F.explode(F.array("a", "b")).alias("id")).distinct()
-    texts = lines.withColumn("id", F.xxhash64("line")).join(needed, "id", "left_semi")
+    needed = cut(met.select("id").distinct())
+    if needed.count() <= cfg.broadcast_ids:
+        needed = F.broadcast(needed)
+    texts = lines.withColumn("id", F.xxhash64("line")).join(needed, "id", "left_semi").select("id", "line").distinct()
+    texts = cut(texts.withColumn("sig", signature(F.col("line"))))
+    known = met.join(texts.select("id", "sig"), "id")
+    x, y = known.filter("filed").alias("x"), known.alias("y")
+    fits = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") != F.col("y.id")) & signatures_close(F.col("x.sig"), F.col("y.sig"), cfg.edits)
+    pairs = x.join(y, fits).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
     both = pairs.join(texts.select(F.col("id").alias("a"), F.col("line").alias("la")), "a").join(texts.select(F.col("id").alias("b"), F.col("line").alias("lb")), "b")
     return both.filter(within_edits(F.col("la"), F.col("lb"), cfg.edits)).select("a", "b")
 
@@ -186,11 +199,10 @@ def line_classes(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     class_doc is the least doc_id of the class; n_links counts links to different texts.
     """
     rows = occurrences(docs).filter(has_word(F.col("line")))
-    distinct = rows.filter(F.length("line") >= cfg.least).select("line").distinct()
-    links = cut(line_links(distinct, cfg))
+    links = cut(line_links(rows.filter(F.length("line") >= cfg.least).select("line"), cfg))
     near = components(links)
     degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-    ids = rows.select("doc_id", "version", "line_no", F.xxhash64("line").alias("line_id"))
+    ids = cut(rows.select("doc_id", "version", "line_no", F.xxhash64("line").alias("line_id")))
     firsts = ids.groupBy("line_id").agg(F.min("doc_id").alias("first_doc"))
     named = firsts.join(near, F.col("line_id") == F.col("node"), "left").join(degree, F.col("line_id") == F.col("id"), "left")
     named = named.select("line_id", "first_doc", F.coalesce("component", "line_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
