@@ -205,6 +205,9 @@ class ColumnIndex:
             same = transform[x] == transform[y]
             p, x, y = p[ok][same], x[same], y[same]
             if len(p):
+                # from the last range to the first, so that nothing is reduced between two ranges
+                o = np.argsort(-x)
+                p, x, y = p[o], x[o], y[o]
                 ends = np.stack([y + 1, x + 1], axis=1).ravel()
                 values = np.append(prefix, 0)
                 common[p] = np.minimum.reduceat(values, ends)[::2] + 1
