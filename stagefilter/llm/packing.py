@@ -30,6 +30,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 
 WINDOW = 2048
@@ -39,13 +40,14 @@ SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long,
 
 @dataclass(frozen=True)
 class Packing:
-    """window: tokens of a sequence; classes: length classes of the histogram; depth: most pieces in a combination; block: rests solved together; cache: words kept with their ids; slack: gap (tokens) that is closed by cutting a piece if no whole one fits."""
+    """window: tokens of a sequence; classes: length classes of the histogram; depth: most pieces in a combination; block: rests solved together; cache: words kept with their ids; characters: bytes of text tokenized together; slack: gap (tokens) that is closed by cutting a piece if no whole one fits."""
 
     window: int = WINDOW
     classes: int = 24
     depth: int = 3
     block: int = 20_000
-    cache: int = 200_000
+    cache: int = 400_000
+    characters: int = 4_000_000
     slack: int = 0
 
 
@@ -70,28 +72,46 @@ class WordIds:
         self.keep = keep
         self.known: dict[str, bytes] = {}
 
-    def _learn(self, words: list[str]) -> None:
-        if len(self.known) + len(words) > self.keep:
-            self.known.clear()
-        for w, e in zip(words, self.whole.encode_batch(words, add_special_tokens=False), strict=True):
-            self.known[w] = np.asarray(e.ids, "<u4").tobytes()
+    def _learn(self, words: list[str]) -> dict[str, bytes]:
+        """Ids of new words, many at once: they are encoded as one text, and its tokens say which word they are of."""
+        out: dict[str, bytes] = {}
+        for a in range(0, len(words), 512):
+            part = words[a : a + 512]
+            e = self.whole.encode(" ".join(part), add_special_tokens=False)
+            ids, of = np.asarray(e.ids, "<u4"), np.asarray(e.word_ids)
+            if len(ids) and of[-1] == len(part) - 1:
+                ends = np.searchsorted(of, np.arange(len(part) + 1))
+                out.update((w, ids[ends[i] : ends[i + 1]].tobytes()) for i, w in enumerate(part))
+            else:  # a word that isn't one piece of the vocabulary's split: each on its own
+                out.update((w, self.one(w)) for w in part)
+        return out
+
+    def one(self, text: str) -> bytes:
+        return np.asarray(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+
+    def batch(self, texts: list[str]) -> list[bytes]:
+        """The ids of each text. Words new to the cache are learnt together; a full cache starts anew."""
+        split = [None if "<|" in t or not self.plain.match(t) else self.word.findall(unicodedata.normalize("NFC", t).lower()) for t in texts]
+        new = set().union(*(x for x in split if x is not None)).difference(self.known)
+        if len(self.known) + len(new) > self.keep:
+            self.known = {}
+            new = set().union(*(x for x in split if x is not None))
+        self.known.update(self._learn(sorted(new)))
+        ids = self.known.__getitem__
+        return [self.one(t) if x is None else b"".join(map(ids, x)) for t, x in zip(texts, split, strict=True)]
 
     def __call__(self, text: str) -> bytes:
-        if "<|" in text or not self.plain.match(text):
-            return np.asarray(self.whole.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        words = self.word.findall(unicodedata.normalize("NFC", text).lower())
-        get = self.known.get
-        found = [get(w) for w in words]
-        if None in found:
-            self._learn(list({w for w, x in zip(words, found, strict=True) if x is None}))
-            known = self.known
-            missing = list({w for w in words if w not in known})
-            if missing:  # the cache was emptied meanwhile
-                self._learn(missing)
-                rest = {w: np.asarray(self.whole.encode(w, add_special_tokens=False).ids, "<u4").tobytes() for w in set(words) if w not in known}
-                return b"".join([known.get(w) or rest.get(w, b"") for w in words])
-            found = [known[w] for w in words]
-        return b"".join(found)
+        return self.batch([text])[0]
+
+
+_workers: dict[tuple[str, int], WordIds] = {}
+
+
+def word_ids(path: str, keep: int) -> WordIds:
+    """One cache for all tasks that a Python worker runs."""
+    if (path, keep) not in _workers:
+        _workers[path, keep] = WordIds(path, keep)
+    return _workers[path, keep]
 
 
 def combinations(sizes: np.ndarray, window: int, depth: int) -> np.ndarray:
@@ -252,13 +272,22 @@ class Packer:
         self.rests = []
 
 
+def slices(batch: pa.RecordBatch, most: int) -> Iterator[pa.RecordBatch]:
+    """Parts of a batch whose texts (column 1) have about so many bytes together, at least one row each."""
+    sizes = np.nan_to_num(pc.binary_length(batch.column(1)).to_numpy(zero_copy_only=False).astype(float))
+    ends = np.flatnonzero(np.diff(np.cumsum(sizes) // most, prepend=0) > 0)
+    for a, b in zip([0, *ends], [*ends, batch.num_rows], strict=True):
+        if b > a:
+            yield batch.slice(a, b - a)
+
+
 def _packer(path: str, cfg: Packing) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     names = [x.split()[0] for x in SCHEMA.split(", ")]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        ids, packer = WordIds(path, cfg.cache), Packer(cfg, TaskContext.get().partitionId() << 40)
+        ids, packer = word_ids(path, cfg.cache), Packer(cfg, TaskContext.get().partitionId() << 40)
         end = np.array([END_ID], "<u4").tobytes()
 
         def out(rows: list[tuple]) -> pa.RecordBatch:
@@ -266,8 +295,10 @@ def _packer(path: str, cfg: Packing) -> Callable[[Iterator[pa.RecordBatch]], Ite
 
         for batch in batches:
             rows: list[tuple] = []
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
-                rows.extend(packer.add(doc_id, ids(text.as_py() or "") + end))
+            for part in slices(batch, cfg.characters):
+                texts = [t or "" for t in part.column(1).to_pylist()]
+                for doc_id, found in zip(part.column(0).to_pylist(), ids.batch(texts), strict=True):
+                    rows.extend(packer.add(doc_id, found + end))
                 if len(rows) > 20_000:
                     yield out(rows)
                     rows = []
