@@ -5,8 +5,8 @@ columns of documents. A stage's result is written as Parquet and read again as t
 stage's docs, so a lost executor costs at most the stage that runs.
 
 - language_id: documents whose language is unknown or scored under 0.3 go.
-- line_dedup: lines that repeat an earlier line of the corpus (up to one edit) go from the
-  texts; documents stay, also when little or nothing is left of them.
+- line_dedup: lines that repeat an earlier line of the corpus (up to one edit per 25
+  characters, one at least) go from the texts; documents stay, also when little or nothing is left of them.
 - jaccard_join: of documents that are near copies (five-word shingles, similarity 0.8 or
   more) the one with the least doc_id stays.
 - mixing: sources are brought to their target weights; documents taken more than once
@@ -23,7 +23,7 @@ from pyspark.sql import DataFrame, SparkSession
 from stagefilter.llm.common import ensure_checkpoint_dir, table
 from stagefilter.llm.jaccard import JaccardJoin, one_per_class
 from stagefilter.llm.langid import accepted
-from stagefilter.llm.linededup import without_repeated_lines
+from stagefilter.llm.linededup import GROWING, without_repeated_lines
 from stagefilter.llm.mixing import mixed_documents
 from stagefilter.llm.packing import pack
 
@@ -35,7 +35,7 @@ def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def line_dedup(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return without_repeated_lines(docs)
+    return without_repeated_lines(docs, GROWING)
 
 
 def jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

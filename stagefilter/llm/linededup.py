@@ -10,6 +10,12 @@ letter counts that so few edits explain, and are verified by a banded bit-parall
 distance after common heads and tails are cut. Links join lines to classes; of each class the first line (least doc_id, then
 least line number) stays and all others are removed.
 
+With `per` the threshold grows with the line: one edit per `per` characters, but no more
+than a third of the line's distinct word pairs allows, and `edits` at least; two lines are
+linked within the smaller of their thresholds. An edit spoils three word pairs at most, so
+lines k edits apart share one of the first 3k + 1 in any common order (here the longest
+pairs first); these are the keys of lines that may differ by more than `edits`.
+
 Lines shorter than `least` characters are only compared for equality. Lines without a word
 are never removed. A line stands as its 64-bit hash where its text is not needed.
 
@@ -20,12 +26,13 @@ extra columns are ignored; an empty table gives an empty result.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from stagefilter.llm.common import cut, release_finished_shuffles
+from stagefilter.llm.common import cut, let, release_finished_shuffles
 from stagefilter.llm.components import components
 
 #: Characters that are counted for the candidate filter; each count has one byte of the signature.
@@ -34,11 +41,18 @@ COUNTED = "etanio "
 
 @dataclass(frozen=True)
 class LineJoin:
-    """edits: most edits between lines that are linked; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling."""
+    """edits: most edits between lines that are linked; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling; per: characters per edit where the threshold grows with the line, 0 where it doesn't."""
 
     edits: int = 1
     least: int = 20
     broadcast_ids: int = 2_000_000
+    per: int = 0
+
+
+#: The form of the registered queries.
+GROWING = LineJoin(least=8, per=25)
+#: Ratio of the lengths that share a file of word pairs.
+LENGTH_STEP = 1.2
 
 
 def has_word(line: Column) -> Column:
@@ -60,7 +74,7 @@ def signature(line: Column) -> Column:
     return out
 
 
-def signatures_close(a: Column, b: Column, edits: int) -> Column:
+def signatures_close(a: Column, b: Column, edits: int | Column) -> Column:
     """False only for lines more than `edits` apart: an edit changes two counts by one at most."""
     total = F.lit(0).cast("long")
     for i in range(len(COUNTED)):
@@ -169,12 +183,37 @@ def within_edits(a: Column, b: Column, edits: int) -> Column:
     return F.element_at(F.transform(F.array(_without_common_ends(a, b)), judged), 1)
 
 
-def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
-    """All pairs (a < b) of ids of different lines within cfg.edits edits. lines: column `line`, each at least cfg.least long; repeated lines are one."""
-    n = F.length("line")
-    tagged = lambda keys, filed: F.transform(keys, lambda k: F.struct(k.alias("key"), F.lit(filed).alias("filed")))
-    keys = F.concat(tagged(filed_keys(F.col("line"), n, cfg.edits), True), tagged(F.array_except(probe_keys(F.col("line"), n, cfg.edits), filed_keys(F.col("line"), n, cfg.edits)), False))
-    rows = lines.select(F.xxhash64("line").alias("id"), F.explode(keys).alias("k")).select("id", "k.key", "k.filed")
+def word_pairs(line: Column) -> Column:
+    """Distinct neighbouring words, hashed, in a common order: longest first, then by hash."""
+
+    def pairs(w: Column) -> Column:
+        def one(x: Column, i: Column) -> Column:
+            y = F.get(w, i + 1)
+            size = F.least(F.length(x) + F.length(y), F.lit(127)).cast("long")
+            return F.xxhash64(x, y).bitwiseAND(F.lit((1 << 56) - 1)) - F.shiftleft(size, 56)
+
+        return F.transform(F.slice(w, F.lit(1), F.size(w) - 1), one)
+
+    return F.sort_array(F.array_distinct(let(F.split(line, " "), pairs)))
+
+
+def allowed_edits(n: Column, n_pairs: Column, cfg: LineJoin) -> Column:
+    """A line's threshold. An edit moves n by one and n_pairs by three at most, hence the threshold by one."""
+    return F.greatest(F.lit(cfg.edits), F.least(F.floor(n / cfg.per), F.floor((n_pairs - 1) / 3))).cast("int")
+
+
+def with_threshold(lines: DataFrame, cfg: LineJoin) -> DataFrame:
+    """line, n, pairs, k."""
+    sized = lines.select("line", F.length("line").alias("n"), word_pairs(F.col("line")).alias("pairs"))
+    return sized.withColumn("k", allowed_edits(F.col("n"), F.size("pairs"), cfg))
+
+
+def _length_file(n: Column) -> Column:
+    return F.floor(F.ln(F.greatest(n, F.lit(1))) / F.lit(math.log(LENGTH_STEP))).cast("int")
+
+
+def _linked(lines: DataFrame, rows: DataFrame, cfg: LineJoin, extra: list[str], close, judge) -> DataFrame:
+    """Links among `lines` (line and the columns `extra`) that meet in `rows` (id, key, filed), are `close` and pass `judge`."""
     by = Window.partitionBy("key")
     shared = rows.select("id", "key", "filed", F.min("id").over(by).alias("low"), F.max("id").over(by).alias("high"), F.max("filed").over(by).alias("some"))
     # what is filed under a key also probes it: at equal length the only place is the segment's own
@@ -183,14 +222,45 @@ def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     needed = cut(met.select("id").distinct())
     if needed.count() <= cfg.broadcast_ids:
         needed = F.broadcast(needed)
-    texts = lines.withColumn("id", F.xxhash64("line")).join(needed, "id", "left_semi").select("id", "line").distinct()
+    texts = lines.withColumn("id", F.xxhash64("line")).join(needed, "id", "left_semi").select("id", "line", *extra).distinct()
     texts = cut(texts.withColumn("sig", signature(F.col("line"))))
-    known = met.join(texts.select("id", "sig"), "id")
+    known = met.join(texts.select("id", "sig", *extra), "id")
     x, y = known.filter("filed").alias("x"), known.alias("y")
-    fits = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") != F.col("y.id")) & signatures_close(F.col("x.sig"), F.col("y.sig"), cfg.edits)
+    fits = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") != F.col("y.id")) & close
     pairs = x.join(y, fits).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
-    both = pairs.join(texts.select(F.col("id").alias("a"), F.col("line").alias("la")), "a").join(texts.select(F.col("id").alias("b"), F.col("line").alias("lb")), "b")
-    return both.filter(within_edits(F.col("la"), F.col("lb"), cfg.edits)).select("a", "b")
+    named = lambda i: texts.select(F.col("id").alias(i), F.col("line").alias(f"l{i}"), *[F.col(c).alias(f"{c}{i}") for c in extra])
+    return pairs.join(named("a"), "a").join(named("b"), "b").filter(judge).select("a", "b")
+
+
+def _links_by_segments(lines: DataFrame, cfg: LineJoin) -> DataFrame:
+    n = F.length("line")
+    tagged = lambda keys, filed: F.transform(keys, lambda k: F.struct(k.alias("key"), F.lit(filed).alias("filed")))
+    keys = F.concat(tagged(filed_keys(F.col("line"), n, cfg.edits), True), tagged(F.array_except(probe_keys(F.col("line"), n, cfg.edits), filed_keys(F.col("line"), n, cfg.edits)), False))
+    rows = lines.select(F.xxhash64("line").alias("id"), F.explode(keys).alias("k")).select("id", "k.key", "k.filed")
+    close = signatures_close(F.col("x.sig"), F.col("y.sig"), cfg.edits)
+    return _linked(lines, rows, cfg, [], close, within_edits(F.col("la"), F.col("lb"), cfg.edits))
+
+
+def _links_by_word_pairs(lines: DataFrame, cfg: LineJoin) -> DataFrame:
+    """lines: line, n, pairs, k. A line is filed under its own length and probes the lengths n - k .. n."""
+    first = F.slice("pairs", F.lit(1), 3 * F.col("k") + 1)
+    files = F.sequence(_length_file(F.col("n") - F.col("k")), _length_file(F.col("n")))
+    rows = lines.select(F.xxhash64("line").alias("id"), "n", files.alias("files"), F.explode(first).alias("pair")).select("id", "n", "pair", F.explode("files").alias("file"))
+    rows = rows.select("id", F.xxhash64("pair", "file").alias("key"), (F.col("file") == _length_file(F.col("n"))).alias("filed"))
+    k = F.least("x.k", "y.k")
+    close = (F.col("x.n") <= F.col("y.n")) & (F.col("y.n") - F.col("x.n") <= k) & signatures_close(F.col("x.sig"), F.col("y.sig"), k)
+    return _linked(lines, rows, cfg, ["n", "k"], close, F.expr("levenshtein(la, lb, least(ka, kb)) >= 0"))
+
+
+def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
+    """All pairs (a < b) of ids of different lines within their threshold. lines: column `line`, each at least cfg.least long; repeated lines are one."""
+    if not cfg.per:
+        return _links_by_segments(lines, cfg)
+    known = with_threshold(lines, cfg)
+    # a line within cfg.edits edits of one whose threshold is the least has a threshold of twice that at most
+    few = cut(_links_by_segments(known.filter(F.col("k") <= 2 * cfg.edits).select("line"), cfg))
+    release_finished_shuffles(lines.sparkSession)
+    return few.union(_links_by_word_pairs(known.filter(F.col("k") > cfg.edits), cfg)).distinct()
 
 
 def line_classes(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:

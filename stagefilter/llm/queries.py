@@ -13,7 +13,7 @@ from stagefilter.llm.ann import nearest
 from stagefilter.llm.common import table
 from stagefilter.llm.jaccard import jaccard_classes
 from stagefilter.llm.langid import identify
-from stagefilter.llm.linededup import line_classes
+from stagefilter.llm.linededup import GROWING, line_classes
 from stagefilter.llm.mixing import mix_sources
 from stagefilter.llm.packing import pack
 from stagefilter.llm.pii import personal_data
@@ -60,7 +60,7 @@ def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return line_classes(table(spark, sf_dir, "documents")).drop("version")
+    return line_classes(table(spark, sf_dir, "documents"), GROWING).drop("version")
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:

@@ -3,7 +3,7 @@ import re
 
 from pyspark.sql import functions as F
 
-from stagefilter.llm.linededup import LineJoin, line_classes, line_links, signature, signatures_close, within_edits, without_repeated_lines
+from stagefilter.llm.linededup import GROWING, LineJoin, line_classes, line_links, signature, signatures_close, within_edits, without_repeated_lines
 
 SF = "/root/testdata/sf0.01"
 
@@ -108,3 +108,35 @@ def test_removed_lines(spark, odd_docs, no_docs):
             kept = "\n".join(x for i, x in enumerate((t or "").split("\n")) if (d, i) not in want)
             assert (got[d] or "") == kept
     assert line_classes(no_docs).count() == 0 and without_repeated_lines(no_docs).count() == 0
+
+
+def grown(line, cfg):
+    w = line.split(" ")
+    return max(cfg.edits, min(len(line) // cfg.per, (len(set(zip(w, w[1:], strict=False))) - 1) // 3))
+
+
+def test_threshold_grows_with_the_line(spark):
+    rng = random.Random(11)
+    words = ["".join(rng.choice("etanoüxy") for _ in range(rng.randrange(2, 8))) for _ in range(60)]
+    lines = {"ten chars.", "ten chart.", "x" * 300, "x" * 299 + "y"}
+    for _ in range(25):
+        base = " ".join(rng.choice(words) for _ in range(rng.randrange(4, 60)))
+        lines |= {edited(rng, base, rng.randrange(16), "etano xü") for _ in range(6)}
+        # a word replaced in a long line
+        lines.add(base.replace(base.split(" ")[1], "otherwise", 1))
+    lines = sorted(x for x in lines if len(x) >= GROWING.least)
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
+    got = [frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()]
+    near = [(a, b, min(grown(a, GROWING), grown(b, GROWING))) for i, a in enumerate(lines) for b in lines[i + 1 :]]
+    want = {frozenset((a, b)) for a, b, k in near if abs(len(a) - len(b)) <= k and edit_distance(a, b) <= k}
+    assert set(got) == want and len(got) == len(want)
+    assert any(edit_distance(*p) > 4 for p in want)
+
+
+def test_registered_query_removes_a_long_line_with_one_word_replaced(spark, tmp_path):
+    from stagefilter.llm.queries import op10_line_dedup
+
+    line = "The committee met in the old town hall on Monday evening to talk about the new bridge over the river and its likely cost."
+    spark.createDataFrame([(1, line), (2, line.replace("Monday", "Friday"))], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
+    assert {r.doc_id: r.removed for r in op10_line_dedup(spark, str(tmp_path)).collect()} == {1: False, 2: True}
