@@ -28,7 +28,9 @@ _DOMAIN = re.compile(r"@[A-Za-z0-9-]++(?:\.[A-Za-z0-9-]++)++")
 _IP = re.compile(r"(?<![0-9])[0-9]++\.[0-9]++\.[0-9]++\.[0-9]++")
 _CARD = re.compile(r"(?<![0-9])[0-9](?:[ -]?[0-9])++")
 _PHONE = re.compile(r"\+[0-9][ ().0-9-]+[0-9]")
-_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}+(?![A-Za-z0-9])")
+_IBAN = re.compile(r"(?<![A-Za-z0-9])[A-Z]{2}[0-9]{2}(?: ?[A-Z0-9]){11,30}")
+#: Characters of an account number by country, tried first; other lengths and countries are tried from the longest down.
+_IBAN_LENGTH = {"AT": 20, "BE": 16, "CH": 21, "DE": 22, "DK": 18, "ES": 24, "FI": 18, "FR": 27, "GB": 22, "IE": 22, "IT": 27, "LU": 20, "NL": 18, "NO": 15, "PL": 28, "PT": 25, "SE": 24}
 _LOCAL_PHONE = re.compile(r"(?<![0-9+])0[0-9]{1,4}[ /-][0-9]{2,4}(?:[ -][0-9]{2,4}){1,3}+(?![0-9])")
 
 #: Score before context, and words within CONTEXT code points that raise or lower it.
@@ -69,6 +71,23 @@ def _emails(text: str) -> Iterator[tuple[int, int]]:
         at = text.find("@", max(at + 1, done))
 
 
+def _ibans(text: str) -> Iterator[tuple[int, int]]:
+    """Account numbers: the words after a number may look like more of it, so each end of a word in the longest run is tried."""
+    at = 0
+    while m := _IBAN.search(text, at):
+        start, n, ends = m.start(), 0, []
+        for i in range(start, m.end()):
+            n += text[i] != " "
+            # an end is followed by no letter or digit
+            if n >= 15 and text[i] != " " and not (text[i + 1 : i + 2].isascii() and text[i + 1 : i + 2].isalnum()):
+                ends.append((n == _IBAN_LENGTH.get(m[0][:2]), i + 1))
+        end = next((e for _, e in sorted(ends, reverse=True) if mod97(text[start:e])), None)
+        if end:
+            yield start, end
+        # another number may begin inside a run that is none
+        at = end or start + 4
+
+
 def _parts_ok(ip: str) -> bool:
     return all(len(p) <= 3 and int(p or "0") <= 255 for p in (q.lstrip("0") for q in ip.split(".")))
 
@@ -87,7 +106,7 @@ def spans(text: str) -> list[tuple[str, int, int]]:
         for m in _PHONE.finditer(text):
             if 9 <= sum(c.isdigit() for c in m[0]) <= 15:
                 out.append(("phone", m.start(), m.end()))
-    out += [("iban", m.start(), m.end()) for m in _IBAN.finditer(text) if mod97(m[0])]
+    out += [("iban", a, b) for a, b in _ibans(text)]
     taken = [(a, b) for _, a, b in out]
     for m in _LOCAL_PHONE.finditer(text):
         if not any(a < m.end() and m.start() < b for a, b in taken) and score(text, "local_phone", m.start(), m.end()) >= 0.5:

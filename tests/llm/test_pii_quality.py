@@ -74,6 +74,19 @@ def test_pii_added_kinds():
     assert not any(k == "iban" for k, _, _ in spans("bank DE89370400440532013001 ok"))
 
 
+def test_account_numbers_in_prose():
+    de, gb = "DE89370400440532013000", "GB82 WEST 1234 5698 7654 32"
+    for number in (de, gb, "DE89 3704 0044 0532 0130 00"):
+        for after in ("", ".", " Please pay", " The", " 7 days", " 12", " BIC COBADEFF", " OR CASH", " A", " AND THEN SOME MORE WORDS IN UPPER CASE"):
+            t = f"IBAN {number}{after}"
+            assert [t[a:b] for k, a, b in spans(t) if k == "iban"] == [number], t
+    t = f"REF AB12 {de} and {gb} Thanks"
+    assert [t[a:b] for k, a, b in spans(t) if k == "iban"] == [de, gb]
+    # unknown country, no end of a word inside, and a wrong digit
+    assert [s for s in spans(f"{de}x {de[:-1]}1 Please") if s[0] == "iban"] == []
+    assert any(k == "iban" for k, _, _ in spans("MT84MALT011000012345MTLCAST001S Please"))
+
+
 def test_quality_matches_plain_counts(spark, odd_docs):
     docs = spark.read.parquet(f"{SF}/documents.parquet")
     for df in (docs, odd_docs):
