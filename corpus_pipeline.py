@@ -10,7 +10,7 @@ stage's docs, so a lost executor costs at most the stage that runs.
 - jaccard_join: of documents that are near copies (five-word shingles, similarity 0.8 or
   more) the one with the least doc_id stays.
 - mixing: sources are brought to their target weights; documents taken more than once
-  appear as repeated rows, a fraction as a document's first words.
+  appear as repeated rows, a fraction as the start of a document's text.
 - packing: one row per piece of a packed token sequence.
 """
 

@@ -87,3 +87,15 @@ def test_mixing(spark, odd_docs, no_docs):
         words = mixed.select("text").collect()
         assert sum(len(re.findall(r"[^\x20\x09-\x0D]+", r.text or "")) for r in words) == sum(taken.values())
     assert mix_sources(no_docs).count() == 0 and mixed_documents(no_docs).count() == 0
+
+
+def test_a_fraction_keeps_the_white_space(spark):
+    text = "  first line\there\n\n second  line,\u00e9 \U0001f600 end\nthird line  \n"
+    docs = spark.createDataFrame([(i, text, "s", len(text)) for i in range(5)], "doc_id long, text string, source string, n_chars long")
+    parts = set()
+    for total in (0.3, 0.45, 0.7, 1.25):
+        for r in mixed_documents(docs, Mix(total=total, buckets=1)).collect():
+            assert text.startswith(r.text) and r.n_chars == len(r.text)
+            assert r.text == text or not r.text[-1].isspace()
+            parts.add(r.text)
+    assert any("\n\n second  line" in x for x in parts - {text})
