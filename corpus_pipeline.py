@@ -6,10 +6,13 @@ stage's docs, so a lost executor costs at most the stage that runs.
 
 - language_id: documents whose language is unknown or scored under 0.3 go.
 - line_dedup: lines that repeat an earlier line of the corpus (up to one edit per 25
-  characters, one at least) go from the texts; documents stay, also when little or nothing is left of them.
+  characters, one at least) go from the texts; documents stay, also when little or nothing is left
+  of them.
 - jaccard_join: of documents that are near copies (five-word shingles, similarity 0.8 or
   more) the one with the least doc_id stays.
-- mixing: sources are brought to their target weights; documents taken more than once
+- mixing: documents without a word go first (since stage one only passes texts with a
+  letter, these are the ones whose lines were all removed, copies of earlier documents
+  among them); then sources are brought to their target weights; documents taken more than once
   appear as repeated rows, a fraction as the start of a document's text.
 - packing: one row per piece of a packed token sequence.
 """
@@ -19,11 +22,12 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from stagefilter.llm.common import ensure_checkpoint_dir, table
 from stagefilter.llm.jaccard import JaccardJoin, one_per_class
 from stagefilter.llm.langid import accepted
-from stagefilter.llm.linededup import GROWING, without_repeated_lines
+from stagefilter.llm.linededup import GROWING, has_word, without_repeated_lines
 from stagefilter.llm.mixing import mixed_documents
 from stagefilter.llm.packing import pack
 
@@ -43,7 +47,7 @@ def jaccard_join(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def mixing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return mixed_documents(docs)
+    return mixed_documents(docs.filter(has_word(F.col("text"))))
 
 
 def packing(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -53,3 +53,14 @@ def test_run_equals_the_stages(spark):
     rows = corpus_pipeline.run(spark, SF)
     assert rows.columns == ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
     assert rows.count() > 0
+
+
+def test_exact_copies_leave_one_document(spark):
+    text = "A first line of the text that is copied.\nAnd then a second one that is different."
+    other = "Something else entirely stands in this document, and it stays."
+    rows = [(1, text), (2, text), (3, text), (4, other)]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long")
+    stages = dict(corpus_pipeline.STAGES)
+    for name in ("line_dedup", "jaccard_join", "mixing"):
+        docs = stages[name](spark, docs, SF)
+    assert {r.doc_id for r in docs.collect()} == {1, 4}
