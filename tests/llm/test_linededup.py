@@ -140,3 +140,25 @@ def test_registered_query_removes_a_long_line_with_one_word_replaced(spark, tmp_
     line = "The committee met in the old town hall on Monday evening to talk about the new bridge over the river and its likely cost."
     spark.createDataFrame([(1, line), (2, line.replace("Monday", "Friday"))], "doc_id long, text string").write.parquet(f"{tmp_path}/documents.parquet")
     assert {r.doc_id: r.removed for r in op10_line_dedup(spark, str(tmp_path)).collect()} == {1: False, 2: True}
+
+
+def test_growing_threshold_on_documents(spark):
+    """All pairs of distinct lines by the plain distance, where letter counts don't rule them out."""
+    from collections import Counter
+
+    docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
+    lines = sorted({x for r in docs.select("text").collect() for x in (r.text or "").split("\n") if GROWING.least <= len(x) <= 1500})
+    count, k = {x: Counter(x) for x in lines}, {x: grown(x, GROWING) for x in lines}
+    by_length = sorted(lines, key=len)
+    want = set()
+    for i, a in enumerate(by_length):
+        for b in by_length[i + 1 :]:
+            most = min(k[a], k[b])
+            if len(b) - len(a) > k[a]:
+                break
+            if len(b) - len(a) <= most and max((count[a] - count[b]).total(), (count[b] - count[a]).total()) <= most and edit_distance(a, b) <= most:
+                want.add(frozenset((a, b)))
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
+    got = {frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()}
+    assert got == want and any(edit_distance(*p) > 1 for p in want)
