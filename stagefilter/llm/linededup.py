@@ -1,32 +1,37 @@
 """Operator 10: line dedup by a segment-partition edit join, in DataFrame functions only.
 
-Two lines within `edits` edits share at least one of the edits + 1 segments of the shorter
-one, at a place that the edits cannot have moved far. So each distinct line of length L is
-filed under its segments (hash of length, segment number and content), and probes the
-files of the lengths L - edits .. L with the few substrings that can match, chosen by the
-multi-match rule. Keys are shuffled once and only those with two different lines, one of
-them filed, go on; texts are fetched for their lines alone. Candidates must also have
-letter counts that so few edits explain, and are verified by a banded bit-parallel edit
-distance after common heads and tails are cut. Links join lines to classes; of each class the first line (least doc_id, then
-least line number) stays and all others are removed.
-
-With `per` the threshold grows with the line: one edit per `per` characters, but no more
-than a third of the line's distinct word pairs allows, and `edits` at least; two lines are
-linked within the smaller of their thresholds. An edit spoils three word pairs at most, so
-lines k edits apart share one of the first 3k + 1 in any common order (here the longest
-pairs first); these are the keys of lines that may differ by more than `edits`.
+A line is a sequence of symbols: of characters if it is short, of words (what single spaces
+separate) from `long` words on. Each has a threshold k: one edit per `per` symbols, `edits`
+at least and `most` at most. Two lines are linked if their edit distance, counted in
+symbols, is at most the threshold of the one with fewer symbols. Lines of `long` to
+`long + most - 1` words are compared both ways, so that no pair falls between the two.
+
+Two such lines share at least one of the k + 1 segments of the shorter one, at a place that
+the edits can't have moved far. So each distinct line of n symbols is filed under its
+segments (hash of n, segment number and content), and probes the files of the lengths
+n - k .. n with the few runs of symbols that can match, chosen by the multi-match rule. The
+places to look at are one small constant table, joined to every line by a generator. Keys
+are shuffled once, for distinct lines; only those with two different lines, one of them
+filed, go on, and only their lines' texts are fetched again.
+
+Candidates are taken in two rounds, so that a family of near copies never becomes all its
+pairs: neighbours in the list of each key first; their verified links make components; then
+lists that still hold several components are compared across these. Candidates must have
+symbol counts that so few edits explain, and are verified by a banded bit-parallel edit
+distance after common heads and tails are cut. Of each class the first line (least doc_id,
+then text, then line number) stays and all others are removed.
 
 Lines shorter than `least` characters are only compared for equality. Lines without a word
-are never removed. A line stands as its 64-bit hash where its text is not needed.
+are never removed. Where its text is not needed a line stands as two hashes, of 64 and 32
+bits, and only as the first in links.
 
 Edge cases: null texts count as empty; empty and blank texts have no line to remove; very
 long lines are lines like others; rows repeated with the same doc_id and text count once;
-extra columns are ignored; an empty table gives an empty result.
+extra columns are ignored, whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
 
-import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, Window
@@ -35,28 +40,41 @@ from pyspark.sql import functions as F
 from stagefilter.llm.common import cut, let, release_finished_shuffles
 from stagefilter.llm.components import components
 
-#: Characters that are counted for the candidate filter; each count has one byte of the signature.
-COUNTED = "etanio "
+#: Symbols are counted in so many classes for the candidate filter; each count has one byte of the signature.
+COUNTED = 7
+BLANK = " \t\n\x0b\x0c\r"
 
 
 @dataclass(frozen=True)
 class LineJoin:
-    """edits: most edits between lines that are linked; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling; per: characters per edit where the threshold grows with the line, 0 where it doesn't."""
+    """edits: least threshold; most: greatest one; per_chars, per_words: symbols per edit where the threshold grows, 0 where it is `edits` for all lines; long: words from which a line is compared by words, 0 for never; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling."""
 
     edits: int = 1
     least: int = 20
     broadcast_ids: int = 2_000_000
-    per: int = 0
+    most: int = 0
+    per_chars: int = 0
+    per_words: int = 0
+    long: int = 0
+
+    @property
+    def band(self) -> int:
+        return max(self.edits, self.most)
+
+    def threshold(self, n: Column, by_words: Column | bool) -> Column:
+        """Threshold of a line of n symbols."""
+        if not self.per_chars:
+            return F.lit(self.edits)
+        per = F.when(F.lit(by_words) if isinstance(by_words, bool) else by_words, self.per_words).otherwise(self.per_chars)
+        return F.least(F.lit(self.band), F.greatest(F.lit(self.edits), F.floor(n / per))).cast("int")
 
 
 #: The form of the registered queries.
-GROWING = LineJoin(least=8, per=25)
-#: Ratio of the lengths that share a file of word pairs.
-LENGTH_STEP = 1.2
+GROWING = LineJoin(least=8, most=3, per_chars=25, per_words=20, long=20)
 
 
 def has_word(line: Column) -> Column:
-    return F.rlike(line, F.lit("[^\\x20\\x09-\\x0D]"))
+    return F.ltrim(line, F.lit(BLANK)) != ""
 
 
 def occurrences(docs: DataFrame) -> DataFrame:
@@ -66,72 +84,94 @@ def occurrences(docs: DataFrame) -> DataFrame:
     return rows.select("doc_id", "version", F.posexplode(F.split("text", "\n")).alias("line_no", "line"))
 
 
-def signature(line: Column) -> Column:
-    """Counts of COUNTED modulo 256, a byte each."""
-    out = F.lit(0).cast("long")
-    for i, c in enumerate(COUNTED):
-        out = out.bitwiseOR(F.shiftleft((F.length(line) - F.length(F.replace(line, F.lit(c), F.lit("")))).bitwiseAND(F.lit(255)).cast("long"), 8 * i))
-    return out
+def symbols(line: Column, by_words: Column | bool) -> Column:
+    if isinstance(by_words, bool):
+        return F.split(line, " " if by_words else "")
+    return F.when(by_words, F.split(line, " ")).otherwise(F.split(line, ""))
+
+
+def signature(line: Column, by_words: Column | bool = False) -> Column:
+    """Counts of the line's symbols of each class modulo 256, a byte each."""
+
+    def counts(classes: Column) -> Column:
+        out = F.lit(0).cast("long")
+        for i in range(COUNTED):
+            n = F.size(classes) - F.size(F.array_remove(classes, i))
+            out = out.bitwiseOR(F.shiftleft(n.bitwiseAND(F.lit(255)).cast("long"), 8 * i))
+        return out
+
+    return let(F.transform(symbols(line, by_words), lambda x: F.pmod(F.hash(x), F.lit(COUNTED))), counts)
 
 
 def signatures_close(a: Column, b: Column, edits: int | Column) -> Column:
     """False only for lines more than `edits` apart: an edit changes two counts by one at most."""
     total = F.lit(0).cast("long")
-    for i in range(len(COUNTED)):
+    for i in range(COUNTED):
         d = F.abs(F.shiftright(a, 8 * i).bitwiseAND(F.lit(255)) - F.shiftright(b, 8 * i).bitwiseAND(F.lit(255)))
         total = total + F.least(d, 256 - d)
     return total <= 2 * edits
 
 
-def _segment(length: Column, i: int, parts: int) -> tuple[Column, Column]:
-    """Start (from 1) and length of the i-th (from 1) of nearly even segments; the longer ones come last."""
-    base = F.floor(length / parts).cast("int")
-    longer = length - base * parts
-    return F.lit(1) + base * (i - 1) + F.greatest(F.lit(0), longer - (parts - i + 1)), base + F.when(longer > parts - i, 1).otherwise(0)
-
-
-def _key(length: Column, i: int, part: Column) -> Column:
-    return F.xxhash64(length.cast("int"), F.lit(i), part)
-
-
-def filed_keys(line: Column, n: Column, edits: int) -> Column:
-    parts = edits + 1
-    return F.array(*[_key(n, i, F.substring(line, *_segment(n, i, parts))) for i in range(1, parts + 1)])
+def places(cfg: LineJoin) -> list[tuple[int, int, int, int, bool]]:
+    """(threshold k, symbols that the filed line is shorter, segment, move, filed): where a line is filed and what it probes."""
+    out = []
+    for k in range(cfg.edits, cfg.band + 1):
+        for shorter in range(k + 1):
+            for i in range(1, k + 2):
+                low, high = max(-(i - 1), shorter - (k + 1 - i)), min(i - 1, shorter + (k + 1 - i))
+                # what is filed under a key also probes it: at equal length the only place is the segment's own
+                out += [(k, shorter, i, move, shorter == 0 and move == 0) for move in range(low, high + 1)]
+    return out
 
 
-def probe_keys(line: Column, n: Column, edits: int) -> Column:
-    """Keys of the substrings that can equal a segment of a line shorter by 0 .. edits."""
-    parts, out = edits + 1, []
-    for shorter in range(edits + 1):
-        for i in range(1, parts + 1):
-            start, width = _segment(n - shorter, i, parts)
-            low = max(-(i - 1), shorter - (parts - i))
-            high = min(i - 1, shorter + (parts - i))
-            for move in range(low, high + 1):
-                at = start + move
-                out.append(F.when((at >= 1) & (at + width - 1 <= n) & (n > shorter), _key(n - shorter, i, F.substring(line, at, width))))
-    return F.array_distinct(F.array_compact(F.array(*out)))
+def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
+    """id, by_words, key, filed of distinct lines: what each is filed under and what it probes."""
+    table = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s"), F.lit(i).alias("i"), F.lit(m).alias("m"), F.lit(f).alias("filed")) for k, s, i, m, f in places(cfg)])
+    n_words = F.size(F.split("line", " "))
+    out = None
+    for by_words in (False, True) if cfg.long else (False,):
+        mine = lines if not cfg.long else lines.filter(n_words >= cfg.long if by_words else n_words < cfg.long + cfg.band)
+        cut_up = mine.select(F.xxhash64("line").alias("id"), symbols(F.col("line"), by_words).alias("parts")).select("id", "parts", F.size("parts").alias("n"))
+        at = cut_up.select("id", "parts", "n", F.inline(table)).withColumn("l", F.col("n") - F.col("s"))
+        at = at.filter((F.col("l") > 0) & (cfg.threshold(F.col("l"), by_words) == F.col("k")))
+        # nearly even segments, the longer ones last
+        even = F.floor(F.col("l") / (F.col("k") + 1)).cast("int")
+        extra = F.col("l") - even * (F.col("k") + 1)
+        start = 1 + even * (F.col("i") - 1) + F.greatest(F.lit(0), extra - (F.col("k") + 2 - F.col("i"))) + F.col("m")
+        width = even + F.when(extra > F.col("k") + 1 - F.col("i"), 1).otherwise(0)
+        at = at.select("id", "parts", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
+        key = F.xxhash64(F.lit(by_words), "l", "i", F.slice("parts", F.col("a"), F.col("w")))
+        rows = at.select("id", F.lit(by_words).alias("by_words"), key.alias("key"), "filed")
+        out = rows if out is None else out.union(rows)
+    return out
 
 
 def _without_common_ends(a: Column, b: Column) -> Column:
-    """struct(a, b) without their common head and tail, found by halving steps."""
+    """struct(a, b) of two arrays without their common head and tail, found by halving steps."""
     steps = F.array(*[F.lit(1 << k) for k in range(16, -1, -1)])
+    rest = lambda x, k: F.slice(x, k + 1, F.size(x))
+    start = lambda x, k: F.slice(x, F.lit(1), F.size(x) - k)
 
-    def head(s: Column, k: Column) -> Column:
-        x, y = s.getField("a"), s.getField("b")
-        same = (F.length(x) >= k) & (F.length(y) >= k) & (F.substring(x, F.lit(1), k) == F.substring(y, F.lit(1), k))
-        return F.struct(F.when(same, F.substring(x, k + 1, F.length(x))).otherwise(x).alias("a"), F.when(same, F.substring(y, k + 1, F.length(y))).otherwise(y).alias("b"))
+    def step(same, left):
+        def one(s: Column, k: Column) -> Column:
+            x, y = s.getField("a"), s.getField("b")
+            ok = (F.size(x) >= k) & (F.size(y) >= k) & same(x, y, k)
+            return F.struct(F.when(ok, left(x, k)).otherwise(x).alias("a"), F.when(ok, left(y, k)).otherwise(y).alias("b"))
 
-    def tail(s: Column, k: Column) -> Column:
-        x, y = s.getField("a"), s.getField("b")
-        same = (F.length(x) >= k) & (F.length(y) >= k) & (F.right(x, k) == F.right(y, k))
-        return F.struct(F.when(same, F.substring(x, F.lit(1), F.length(x) - k)).otherwise(x).alias("a"), F.when(same, F.substring(y, F.lit(1), F.length(y) - k)).otherwise(y).alias("b"))
+        return one
 
-    return F.aggregate(steps, F.aggregate(steps, F.struct(a.alias("a"), b.alias("b")), head), tail)
+    heads = step(lambda x, y, k: F.slice(x, F.lit(1), k) == F.slice(y, F.lit(1), k), rest)
+    tails = step(lambda x, y, k: F.slice(x, -k, k) == F.slice(y, -k, k), start)
+    return F.aggregate(steps, F.aggregate(steps, F.struct(a.alias("a"), b.alias("b")), heads), tails)
 
 
 def within_edits(a: Column, b: Column, edits: int) -> Column:
-    """Whether the edit distance of two lines is at most `edits`, by bit vectors over a band of 2 * edits + 1 diagonals.
+    """Whether the edit distance of two texts is at most `edits`."""
+    return within_band(symbols(a, False), symbols(b, False), edits, F.lit(edits))
+
+
+def within_band(a: Column, b: Column, edits: int, k: Column) -> Column:
+    """Whether the edit distance of two arrays is at most k <= `edits`, by bit vectors over a band of 2 * edits + 1 diagonals.
 
     Bit `top` of the vectors stands for the lowest diagonal of the band at the current
     column. While the band's end is inside the pattern the distance is carried along that
@@ -174,127 +214,121 @@ def within_edits(a: Column, b: Column, edits: int) -> Column:
 
     def judged(ends: Column) -> Column:
         x, y = ends.getField("a"), ends.getField("b")
-        n, m = F.length(x), F.length(y)
-        # the longer one is the pattern; one of them empty or both short: the longer length is the distance's bound
-        chars = F.struct(F.split(F.when(n >= m, x).otherwise(y), "").alias("p"), F.split(F.when(n >= m, y).otherwise(x), "").alias("t"))
-        dist = F.element_at(F.transform(F.array(chars), distance), 1)
-        return F.when(F.abs(n - m) > edits, False).when(F.greatest(n, m) <= edits, True).when(F.least(n, m) == 0, False).otherwise(dist <= edits)
+        n, m = F.size(x), F.size(y)
+        # the longer one is the pattern; it must outgrow the band, shorter ones differ by their length at most
+        sides = F.struct(F.when(n >= m, x).otherwise(y).alias("p"), F.when(n >= m, y).otherwise(x).alias("t"))
+        short = F.levenshtein(*[F.array_join(F.transform(z, lambda c: _place_of(c, F.concat(x, y))), "") for z in (x, y)])
+        outcome = F.when(F.abs(n - m) > k, False).when(F.greatest(n, m) <= k, True).when(F.least(n, m) == 0, False)
+        return outcome.when(F.greatest(n, m) <= edits, short <= k).otherwise(let(sides, distance) <= k)
 
-    return F.element_at(F.transform(F.array(_without_common_ends(a, b)), judged), 1)
+    return let(_without_common_ends(a, b), judged)
 
 
-def word_pairs(line: Column) -> Column:
-    """Distinct neighbouring words, hashed, in a common order: longest first, then by hash."""
+def _place_of(symbol: Column, among: Column) -> Column:
+    """A letter for the symbol: its first place in a short array."""
+    return F.char(F.array_position(among, symbol) + 64)
 
-    def pairs(w: Column) -> Column:
-        def one(x: Column, i: Column) -> Column:
-            y = F.get(w, i + 1)
-            size = F.least(F.length(x) + F.length(y), F.lit(127)).cast("long")
-            return F.xxhash64(x, y).bitwiseAND(F.lit((1 << 56) - 1)) - F.shiftleft(size, 56)
 
-        return F.transform(F.slice(w, F.lit(1), F.size(w) - 1), one)
+def _met(lines: DataFrame, cfg: LineJoin) -> DataFrame:
+    """id, by_words, key, filed where a key is filed and has two different lines."""
+    by = Window.partitionBy("key")
+    shared = line_keys(lines, cfg).select("*", F.min("id").over(by).alias("low"), F.max("id").over(by).alias("high"), F.max("filed").over(by).alias("some"))
+    return cut(shared.filter("low < high and some").select("id", "by_words", "key", "filed").distinct())
 
-    return F.sort_array(F.array_distinct(let(F.split(line, " "), pairs)))
 
+def _texts(lines: DataFrame, met: DataFrame, cfg: LineJoin) -> DataFrame:
+    """id, by_words, line, n, k, sig of the lines in `met`."""
+    needed = cut(met.select("id", "by_words").distinct())
+    if needed.count() <= cfg.broadcast_ids:
+        needed = F.broadcast(needed)
+    some = lines.withColumn("id", F.xxhash64("line")).join(needed, "id").select("id", "by_words", "line").distinct()
+    some = some.withColumn("n", F.size(symbols(F.col("line"), F.col("by_words"))))
+    return cut(some.select("id", "by_words", "line", "n", cfg.threshold(F.col("n"), F.col("by_words")).alias("k"), signature(F.col("line"), F.col("by_words")).alias("sig")))
 
-def allowed_edits(n: Column, n_pairs: Column, cfg: LineJoin) -> Column:
-    """A line's threshold. An edit moves n by one and n_pairs by three at most, hence the threshold by one."""
-    return F.greatest(F.lit(cfg.edits), F.least(F.floor(n / cfg.per), F.floor((n_pairs - 1) / 3))).cast("int")
 
+def _fits(x: str, y: str) -> Column:
+    k = F.least(f"{x}k", f"{y}k")
+    return (F.abs(F.col(f"{x}n") - F.col(f"{y}n")) <= k) & signatures_close(F.col(f"{x}sig"), F.col(f"{y}sig"), k)
 
-def with_threshold(lines: DataFrame, cfg: LineJoin) -> DataFrame:
-    """line, n, pairs, k."""
-    sized = lines.select("line", F.length("line").alias("n"), word_pairs(F.col("line")).alias("pairs"))
-    return sized.withColumn("k", allowed_edits(F.col("n"), F.size("pairs"), cfg))
 
+def _side(texts: DataFrame, name: str, *columns: str) -> DataFrame:
+    return texts.select(F.col("id").alias(name), "by_words", *[F.col(c).alias(f"{name}_{c}") for c in columns])
 
-def _length_file(n: Column) -> Column:
-    return F.floor(F.ln(F.greatest(n, F.lit(1))) / F.lit(math.log(LENGTH_STEP))).cast("int")
 
+def _verified(pairs: DataFrame, texts: DataFrame, cfg: LineJoin) -> DataFrame:
+    """The pairs (a, b, by_words) of ids that are within their threshold."""
+    both = pairs.join(_side(texts, "a", "line", "n", "k", "sig"), ["a", "by_words"]).join(_side(texts, "b", "line", "n", "k", "sig"), ["b", "by_words"]).filter(_fits("a_", "b_"))
+    parts = [symbols(F.col(f"{c}_line"), F.col("by_words")) for c in "ab"]
+    # dealt out anew: few keys may have most of the pairs
+    return both.repartition("a", "b").filter(within_band(*parts, cfg.band, F.least("a_k", "b_k"))).select("a", "b").distinct()
+
+
+def _pair(x: str, y: str) -> list[Column]:
+    return [F.least(x, y).alias("a"), F.greatest(x, y).alias("b")]
 
-def _linked(lines: DataFrame, rows: DataFrame, cfg: LineJoin, extra: list[str], close, judge) -> DataFrame:
-    """Links among `lines` (line and the columns `extra`) that meet in `rows` (id, key, filed), are `close` and pass `judge`."""
-    by = Window.partitionBy("key")
-    shared = rows.select("id", "key", "filed", F.min("id").over(by).alias("low"), F.max("id").over(by).alias("high"), F.max("filed").over(by).alias("some"))
-    # what is filed under a key also probes it: at equal length the only place is the segment's own
-    met = cut(shared.filter("low < high and some").select("id", "key", "filed").distinct())
-    release_finished_shuffles(lines.sparkSession)
-    needed = cut(met.select("id").distinct())
-    if needed.count() <= cfg.broadcast_ids:
-        needed = F.broadcast(needed)
-    texts = lines.withColumn("id", F.xxhash64("line")).join(needed, "id", "left_semi").select("id", "line", *extra).distinct()
-    texts = cut(texts.withColumn("sig", signature(F.col("line"))))
-    known = met.join(texts.select("id", "sig", *extra), "id")
-    x, y = known.filter("filed").alias("x"), known.alias("y")
-    fits = (F.col("x.key") == F.col("y.key")) & (F.col("x.id") != F.col("y.id")) & close
-    pairs = x.join(y, fits).select(F.least("x.id", "y.id").alias("a"), F.greatest("x.id", "y.id").alias("b")).distinct()
-    named = lambda i: texts.select(F.col("id").alias(i), F.col("line").alias(f"l{i}"), *[F.col(c).alias(f"{c}{i}") for c in extra])
-    return pairs.join(named("a"), "a").join(named("b"), "b").filter(judge).select("a", "b")
-
-
-def _links_by_segments(lines: DataFrame, cfg: LineJoin) -> DataFrame:
-    n = F.length("line")
-    tagged = lambda keys, filed: F.transform(keys, lambda k: F.struct(k.alias("key"), F.lit(filed).alias("filed")))
-    keys = F.concat(tagged(filed_keys(F.col("line"), n, cfg.edits), True), tagged(F.array_except(probe_keys(F.col("line"), n, cfg.edits), filed_keys(F.col("line"), n, cfg.edits)), False))
-    rows = lines.select(F.xxhash64("line").alias("id"), F.explode(keys).alias("k")).select("id", "k.key", "k.filed")
-    close = signatures_close(F.col("x.sig"), F.col("y.sig"), cfg.edits)
-    return _linked(lines, rows, cfg, [], close, within_edits(F.col("la"), F.col("lb"), cfg.edits))
-
-
-def _links_by_word_pairs(lines: DataFrame, cfg: LineJoin) -> DataFrame:
-    """lines: line, n, pairs, k. A line is filed under its own length and probes the lengths n - k .. n."""
-    first = F.slice("pairs", F.lit(1), 3 * F.col("k") + 1)
-    files = F.sequence(_length_file(F.col("n") - F.col("k")), _length_file(F.col("n")))
-    rows = lines.select(F.xxhash64("line").alias("id"), "n", files.alias("files"), F.explode(first).alias("pair")).select("id", "n", "pair", F.explode("files").alias("file"))
-    rows = rows.select("id", F.xxhash64("pair", "file").alias("key"), (F.col("file") == _length_file(F.col("n"))).alias("filed"))
-    k = F.least("x.k", "y.k")
-    close = (F.col("x.n") <= F.col("y.n")) & (F.col("y.n") - F.col("x.n") <= k) & signatures_close(F.col("x.sig"), F.col("y.sig"), k)
-    return _linked(lines, rows, cfg, ["n", "k"], close, F.expr("levenshtein(la, lb, least(ka, kb)) >= 0"))
+
+def _across(met: DataFrame, texts: DataFrame, near: DataFrame) -> DataFrame:
+    """Pairs of lines that share a key, one of them filed, and stand in different components."""
+    of = texts.select("id", "by_words", "n", "k", "sig").join(near, F.col("id") == F.col("node"), "left").select("id", "by_words", "n", "k", "sig", F.coalesce("component", "id").alias("c"))
+    known = met.join(of, ["id", "by_words"])
+    mixed = known.groupBy("key").agg(F.min("c").alias("lo"), F.max("c").alias("hi"), F.max("filed").alias("some")).filter("lo < hi and some").select("key")
+    known = known.join(mixed, "key", "left_semi")
+    x, y = (known.select("by_words", *[F.col(c).alias(f"{s}_{c}") for c in ("id", "key", "filed", "n", "k", "sig", "c")]) for s in "xy")
+    on = (F.col("x_key") == F.col("y_key")) & F.col("x_filed") & (F.col("x_c") != F.col("y_c")) & _fits("x_", "y_")
+    return x.join(y.drop("by_words"), on).select(*_pair("x_id", "y_id"), "by_words").distinct()
 
 
 def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     """All pairs (a < b) of ids of different lines within their threshold. lines: column `line`, each at least cfg.least long; repeated lines are one."""
-    if not cfg.per:
-        return _links_by_segments(lines, cfg)
-    known = with_threshold(lines, cfg)
-    # a line within cfg.edits edits of one whose threshold is the least has a threshold of twice that at most
-    few = cut(_links_by_segments(known.filter(F.col("k") <= 2 * cfg.edits).select("line"), cfg))
+    lines = lines.select("line").distinct()
+    met = _met(lines, cfg)
+    texts = _texts(lines, met, cfg)
+    alone = texts.select(F.col("id").alias("node"), F.col("id").alias("component")).distinct()
+    return _verified(_across(met, texts, alone), texts, cfg)
+
+
+def line_components(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
+    """(node, component) of the lines that are linked to others. Only links between components found so far are looked for."""
+    lines = lines.select("line").distinct()
+    met = _met(lines, cfg)
     release_finished_shuffles(lines.sparkSession)
-    return few.union(_links_by_word_pairs(known.filter(F.col("k") > cfg.edits), cfg)).distinct()
+    texts = _texts(lines, met, cfg)
+    listed = Window.partitionBy("key").orderBy("n", "id")
+    chain = met.join(texts.select("id", "by_words", "n"), ["id", "by_words"]).select("id", "by_words", F.lag("id").over(listed).alias("before")).filter("before is not null")
+    links = cut(_verified(chain.select(*_pair("id", "before"), "by_words").filter("a <> b").distinct(), texts, cfg))
+    late = cut(_verified(_across(met, texts, components(links)), texts, cfg))
+    found = components(links.union(late))
+    return found.union(found.select("component", "component")).distinct()
 
 
 def line_classes(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
-    """One row per line with a word: doc_id, version, line_no, line_id, class_id, class_doc, n_links, removed.
+    """One row per line with a word: doc_id, version, line_no, line_id, class_id, class_doc, removed.
 
-    class_doc is the least doc_id of the class; n_links counts links to different texts.
+    class_id is a line id of the class, class_doc the least doc_id that has a line of it.
     """
     rows = occurrences(docs).filter(has_word(F.col("line")))
-    links = cut(line_links(rows.filter(F.length("line") >= cfg.least).select("line"), cfg))
-    near = components(links)
-    degree = links.select(F.explode(F.array("a", "b")).alias("id")).groupBy("id").agg(F.count("*").alias("n_links"))
-    ids = cut(rows.select("doc_id", "version", "line_no", F.xxhash64("line").alias("line_id")))
-    firsts = ids.groupBy("line_id").agg(F.min("doc_id").alias("first_doc"))
-    named = firsts.join(near, F.col("line_id") == F.col("node"), "left").join(degree, F.col("line_id") == F.col("id"), "left")
-    named = named.select("line_id", "first_doc", F.coalesce("component", "line_id").alias("class_id"), F.coalesce("n_links", F.lit(0)).alias("n_links"))
-    merged = named.filter("n_links > 0 or class_id <> line_id").groupBy("class_id").agg(F.min("first_doc").alias("class_first"))
-    lines = named.join(merged, "class_id", "left").select("line_id", "class_id", "n_links", F.coalesce("class_first", "first_doc").alias("class_doc"))
-    seen = ids.join(lines, "line_id")
-    in_doc = Window.partitionBy("doc_id", "version", "class_id").orderBy("line_no")
-    first = (F.col("doc_id") == F.col("class_doc")) & (F.row_number().over(in_doc) == 1)
-    return seen.select("doc_id", "version", "line_no", "line_id", "class_id", "class_doc", "n_links", (~first).alias("removed"))
+    near = cut(line_components(rows.filter(F.length("line") >= cfg.least), cfg))
+    ids = rows.select("doc_id", "version", "line_no", F.xxhash64("line").alias("line_id"), F.hash("line").alias("check"))
+    # linked lines are told by their class, others by both hashes
+    known = ids.join(near, F.col("line_id") == F.col("node"), "left")
+    known = known.select("doc_id", "version", "line_no", "line_id", F.coalesce("component", "line_id").alias("class_id"), F.when(F.col("node").isNull(), F.col("check")).otherwise(0).alias("check"))
+    firsts = known.groupBy("class_id", "check").agg(F.min(F.struct("doc_id", "version", "line_no")).alias("first"), F.count("*").alias("n")).filter("n > 1").drop("n")
+    seen = known.join(firsts, ["class_id", "check"], "left")
+    here = F.struct("doc_id", "version", "line_no")
+    return seen.select("doc_id", "version", "line_no", "line_id", "class_id", F.coalesce("first.doc_id", "doc_id").alias("class_doc"), F.coalesce(F.col("first") != here, F.lit(False)).alias("removed"))
 
 
 def without_repeated_lines(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
-    """All documents with the columns of docs; text without the removed lines, n_chars its length."""
-    gone = line_classes(docs, cfg).filter("removed").groupBy("doc_id", "version").agg(F.sort_array(F.collect_set("line_no")).alias("_gone"))
-    marks = gone.select(F.col("doc_id").alias("_doc"), F.col("version").alias("_version"), "_gone")
-    keyed = docs.withColumn("_key", F.xxhash64(F.coalesce(F.col("text"), F.lit(""))))
-    joined = keyed.join(marks, (F.col("doc_id") == F.col("_doc")) & (F.col("_key") == F.col("_version")), "left")
-    parts = F.split("text", "\n")
+    """All documents with the columns of docs, whatever their names; text without the removed lines, n_chars its length."""
+    marks = line_classes(docs, cfg).filter("removed").groupBy("doc_id", "version").agg(F.sort_array(F.collect_set("line_no")).alias("gone"))
+    # the documents' columns stay inside one struct, so that no name of theirs can clash
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("d"))
+    text, version = F.col("d.text"), F.xxhash64(F.coalesce(F.col("d.text"), F.lit("")))
+    joined = rows.join(marks, (F.col("d.doc_id").cast("long") == F.col("doc_id")) & (version == F.col("version")), "left").select("d", "gone")
+    parts = F.split(text, "\n")
     # a flag per line from the sorted numbers: gaps between them are runs of kept lines
-    edges = F.concat(F.array(F.lit(-1)), F.col("_gone"), F.array(F.size(parts)))
+    edges = F.concat(F.array(F.lit(-1)), F.col("gone"), F.array(F.size(parts)))
     runs = F.flatten(F.transform(F.slice(edges, F.lit(2), F.size(edges) - 1), lambda e, i: F.slice(parts, F.get(edges, i) + 2, e - F.get(edges, i) - 1)))
-    text = F.when(F.col("_gone").isNull(), F.col("text")).otherwise(F.array_join(runs, "\n"))
-    rebuilt = joined.withColumn("text", text)
-    own = {"n_chars": F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text"))} if "n_chars" in docs.columns else {}
-    return rebuilt.select(*[own.get(c, F.col(c)).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])
+    rebuilt = joined.select("d", "gone", F.when(F.col("gone").isNull(), text).otherwise(F.array_join(runs, "\n")).alias("kept"))
+    own = {"text": F.col("kept"), "n_chars": F.when(F.col("gone").isNull(), F.col("d.`n_chars`")).otherwise(F.length("kept"))} if "n_chars" in docs.columns else {"text": F.col("kept")}
+    return rebuilt.select(*[own.get(c, F.col(f"d.`{c}`")).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])

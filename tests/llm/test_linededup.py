@@ -1,9 +1,10 @@
 import random
 import re
+from collections import Counter
 
 from pyspark.sql import functions as F
 
-from stagefilter.llm.linededup import GROWING, LineJoin, line_classes, line_links, signature, signatures_close, within_edits, without_repeated_lines
+from stagefilter.llm.linededup import GROWING, LineJoin, line_classes, line_components, line_links, signature, signatures_close, within_edits, without_repeated_lines
 
 SF = "/root/testdata/sf0.01"
 
@@ -110,9 +111,52 @@ def test_removed_lines(spark, odd_docs, no_docs):
     assert line_classes(no_docs).count() == 0 and without_repeated_lines(no_docs).count() == 0
 
 
-def grown(line, cfg):
-    w = line.split(" ")
-    return max(cfg.edits, min(len(line) // cfg.per, (len(set(zip(w, w[1:], strict=False))) - 1) // 3))
+def symbol_edits(a, b, most):
+    """Edit distance of two lists, or most + 1 if it is greater."""
+    if abs(len(a) - len(b)) > most:
+        return most + 1
+    while a and b and a[0] == b[0]:
+        a, b = a[1:], b[1:]
+    while a and b and a[-1] == b[-1]:
+        a, b = a[:-1], b[:-1]
+    return min(most + 1, edit_distance(a, b))
+
+
+def linked(a, b, cfg):
+    """By the definition: characters if both are short, words if both are long."""
+    wa, wb = a.split(" "), b.split(" ")
+    grow = lambda n, per: min(cfg.most, max(cfg.edits, n // per))
+    by_chars = max(len(wa), len(wb)) < cfg.long + cfg.most and symbol_edits(list(a), list(b), cfg.most) <= grow(min(len(a), len(b)), cfg.per_chars)
+    return by_chars or min(len(wa), len(wb)) >= cfg.long and symbol_edits(wa, wb, cfg.most) <= grow(min(len(wa), len(wb)), cfg.per_words)
+
+
+def classes(lines, pairs):
+    root = {x: x for x in lines}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for a, b in pairs:
+        root[find(a)] = find(b)
+    out = {}
+    for x in lines:
+        out.setdefault(find(x), set()).add(x)
+    return {frozenset(c) for c in out.values() if len(c) > 1}
+
+
+def check_links(spark, lines):
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
+    want = {frozenset((a, b)) for i, a in enumerate(lines) for b in lines[i + 1 :] if linked(a, b, GROWING)}
+    got = [frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()]
+    assert set(got) == want and len(got) == len(want)
+    found = {}
+    for r in line_components(df, GROWING).collect():
+        found.setdefault(r.component, set()).add(of[r.node])
+    assert {frozenset(c) for c in found.values()} == classes(lines, want)
+    return want
 
 
 def test_threshold_grows_with_the_line(spark):
@@ -120,20 +164,26 @@ def test_threshold_grows_with_the_line(spark):
     words = ["".join(rng.choice("etanoüxy") for _ in range(rng.randrange(2, 8))) for _ in range(60)]
     lines = {"ten chars.", "ten chart.", "x" * 300, "x" * 299 + "y"}
     for _ in range(25):
-        base = " ".join(rng.choice(words) for _ in range(rng.randrange(4, 60)))
-        lines |= {edited(rng, base, rng.randrange(16), "etano xü") for _ in range(6)}
-        # a word replaced in a long line
-        lines.add(base.replace(base.split(" ")[1], "otherwise", 1))
-    lines = sorted(x for x in lines if len(x) >= GROWING.least)
-    df = spark.createDataFrame([(x,) for x in lines], "line string")
-    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
-    got = [frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()]
-    near = [(a, b, min(grown(a, GROWING), grown(b, GROWING))) for i, a in enumerate(lines) for b in lines[i + 1 :]]
-    want = {frozenset((a, b)) for a, b, k in near if abs(len(a) - len(b)) <= k and edit_distance(a, b) <= k}
-    assert set(got) == want and len(got) == len(want)
+        base = " ".join(rng.choice(words) for _ in range(rng.randrange(4, 90)))
+        lines |= {edited(rng, base, rng.randrange(6), "etano xü") for _ in range(6)}
+        # a word replaced, one removed, one added in a long line
+        w = base.split(" ")
+        lines |= {base.replace(w[1], "otherwise", 1), " ".join(w[:2] + w[3:]), " ".join([*w[:-1], "addition", w[-1]])}
+    want = check_links(spark, sorted(x for x in lines if len(x) >= GROWING.least))
     assert any(edit_distance(*p) > 4 for p in want)
 
 
+def test_lines_around_the_change_of_symbols(spark):
+    """Lines of about `long` words, alike but for words, spaces and characters."""
+    rng = random.Random(5)
+    lines = set()
+    for _ in range(12):
+        w = ["".join(rng.choice("etano") for _ in range(rng.randrange(1, 7))) for _ in range(rng.randrange(17, 26))]
+        base = " ".join(w)
+        lines |= {base, base.replace(" ", "", 1), base.replace(w[5], w[5] + "x y", 1), " ".join(w[1:]), edited(rng, base, 2, "et ")}
+    assert check_links(spark, sorted(lines))
+
+
 def test_registered_query_removes_a_long_line_with_one_word_replaced(spark, tmp_path):
     from stagefilter.llm.queries import op10_line_dedup
 
@@ -143,22 +193,35 @@ def test_registered_query_removes_a_long_line_with_one_word_replaced(spark, tmp_
 
 
 def test_growing_threshold_on_documents(spark):
-    """All pairs of distinct lines by the plain distance, where letter counts don't rule them out."""
-    from collections import Counter
-
+    """All pairs of distinct lines by the definition."""
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
-    lines = sorted({x for r in docs.select("text").collect() for x in (r.text or "").split("\n") if GROWING.least <= len(x) <= 1500})
-    count, k = {x: Counter(x) for x in lines}, {x: grown(x, GROWING) for x in lines}
-    by_length = sorted(lines, key=len)
-    want = set()
-    for i, a in enumerate(by_length):
-        for b in by_length[i + 1 :]:
-            most = min(k[a], k[b])
-            if len(b) - len(a) > k[a]:
-                break
-            if len(b) - len(a) <= most and max((count[a] - count[b]).total(), (count[b] - count[a]).total()) <= most and edit_distance(a, b) <= most:
-                want.add(frozenset((a, b)))
+    lines = sorted({x for r in docs.select("text").collect() for x in (r.text or "").split("\n") if GROWING.least <= len(x) <= 1500}, key=len)
+    count = {x: Counter(x) for x in lines}
+    split = {x: Counter(x.split(" ")) for x in lines}
+    far = lambda c, a, b: max((c[a] - c[b]).total(), (c[b] - c[a]).total()) > GROWING.most
+    want = {frozenset((a, b)) for i, a in enumerate(lines) for b in lines[i + 1 :] if not (far(count, a, b) and far(split, a, b)) and linked(a, b, GROWING)}
     df = spark.createDataFrame([(x,) for x in lines], "line string")
     of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
     got = {frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()}
     assert got == want and any(edit_distance(*p) > 1 for p in want)
+
+
+def test_a_family_of_near_copies_is_one_class(spark):
+    """Links between all members are implied by few; the rows compared stay in proportion to the family."""
+    base = " ".join(f"word{i}" for i in range(45))
+    family = [f"{base} ending{i}" for i in range(600)]
+    docs = spark.createDataFrame([(i, x) for i, x in enumerate(family)], "doc_id long, text string")
+    rows = line_classes(docs, GROWING).collect()
+    assert len(rows) == 600 and {r.class_doc for r in rows} == {0} and sum(not r.removed for r in rows) == 1
+
+
+def test_clashing_columns_and_long_texts(spark):
+    names = ["doc_id", "text", "version", "line_no", "gone", "id", "key", "d", "class_id", "kept", "_doc", "a.b"]
+    long = "\n".join([*("a long text of many lines " * 20 for _ in range(3)), " ".join(f"w{i}" for i in range(60_000)), "x" * 200_000])
+    rows = [(1, long, *range(10)), (2, long + "\nanother ending", *range(10)), (3, None, *range(10))]
+    df = spark.createDataFrame(rows, names)
+    out = without_repeated_lines(df, GROWING)
+    assert out.columns == names
+    got = {r[0]: r for r in out.collect()}
+    assert got[2][1] == "another ending" and got[2][2:] == tuple(range(10)) and got[3][1] is None
+    assert got[1][1].count("\n") == 2
