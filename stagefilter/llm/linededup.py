@@ -11,8 +11,9 @@ the edits can't have moved far. So each distinct line of n symbols is filed unde
 segments (hash of n, segment number and content), and probes the files of the lengths
 n - k .. n with the few runs of symbols that can match, chosen by the multi-match rule. The
 places to look at are one small constant table, joined to every line by a generator. Keys
-are shuffled once, for distinct lines; only those with two different lines, one of them
-filed, go on, and only their lines' texts are fetched again.
+are shuffled once, texts never; lines that are repeated very often, of which there can only
+be so many, are collapsed before. Only keys with two different lines, one of them filed, go
+on, and only their lines' texts are fetched again.
 
 Candidates are taken in two rounds, so that a family of near copies never becomes all its
 pairs: neighbours in the list of each key first; their verified links make components; then
@@ -47,11 +48,12 @@ BLANK = " \t\n\x0b\x0c\r"
 
 @dataclass(frozen=True)
 class LineJoin:
-    """edits: least threshold; most: greatest one; per_chars, per_words: symbols per edit where the threshold grows, 0 where it is `edits` for all lines; long: words from which a line is compared by words, 0 for never; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling."""
+    """edits: least threshold; most: greatest one; per_chars, per_words: symbols per edit where the threshold grows, 0 where it is `edits` for all lines; long: words from which a line is compared by words, 0 for never; least: characters from which lines are compared by edits; broadcast_ids: most line ids that are broadcast to pick texts, more are joined by shuffling; often: most repeated lines that are collapsed before their keys are made, those with more than count / often occurrences."""
 
     edits: int = 1
     least: int = 20
     broadcast_ids: int = 2_000_000
+    often: int = 500_000
     most: int = 0
     per_chars: int = 0
     per_words: int = 0
@@ -125,7 +127,7 @@ def places(cfg: LineJoin) -> list[tuple[int, int, int, int, bool]]:
 
 
 def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
-    """id, by_words, key, filed of distinct lines: what each is filed under and what it probes."""
+    """id, by_words, key, filed: what each line is filed under and what it probes."""
     table = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s"), F.lit(i).alias("i"), F.lit(m).alias("m"), F.lit(f).alias("filed")) for k, s, i, m, f in places(cfg)])
     n_words = F.size(F.split("line", " "))
     out = None
@@ -280,7 +282,6 @@ def _across(met: DataFrame, texts: DataFrame, near: DataFrame) -> DataFrame:
 
 def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     """All pairs (a < b) of ids of different lines within their threshold. lines: column `line`, each at least cfg.least long; repeated lines are one."""
-    lines = lines.select("line").distinct()
     met = _met(lines, cfg)
     texts = _texts(lines, met, cfg)
     alone = texts.select(F.col("id").alias("node"), F.col("id").alias("component")).distinct()
@@ -289,7 +290,6 @@ def line_links(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
 
 def line_components(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     """(node, component) of the lines that are linked to others. Only links between components found so far are looked for."""
-    lines = lines.select("line").distinct()
     met = _met(lines, cfg)
     release_finished_shuffles(lines.sparkSession)
     texts = _texts(lines, met, cfg)
@@ -301,13 +301,26 @@ def line_components(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     return found.union(found.select("component", "component")).distinct()
 
 
+def collapsed(rows: DataFrame, cfg: LineJoin) -> DataFrame:
+    """The occurrences, but of each line that is repeated very often only the first. At most cfg.often such lines are broadcast."""
+    here = F.struct("doc_id", "version", "line_no")
+    named = rows.select(F.xxhash64("line").alias("id"), F.hash("line").alias("check"), here.alias("here"))
+    counts = named.groupBy("id", "check").agg(F.count("*").alias("n"), F.min("here").alias("first"))
+    counts = cut(counts.filter("n > 2"))
+    # lines with three occurrences at least are counted among themselves: those above the limit are no more than cfg.often
+    least = max(2, (counts.agg(F.sum("n")).first()[0] or 0) // cfg.often)
+    often = F.broadcast(counts.filter(F.col("n") > least).select("id", "check", "first"))
+    marked = rows.withColumn("id", F.xxhash64("line")).withColumn("check", F.hash("line")).join(often, ["id", "check"], "left")
+    return marked.filter(F.col("first").isNull() | (F.col("first") == here)).select("doc_id", "version", "line_no", "line")
+
+
 def line_classes(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     """One row per line with a word: doc_id, version, line_no, line_id, class_id, class_doc, removed.
 
     class_id is a line id of the class, class_doc the least doc_id that has a line of it.
     """
     rows = occurrences(docs).filter(has_word(F.col("line")))
-    near = cut(line_components(rows.filter(F.length("line") >= cfg.least), cfg))
+    near = cut(line_components(collapsed(rows.filter(F.length("line") >= cfg.least), cfg), cfg))
     ids = rows.select("doc_id", "version", "line_no", F.xxhash64("line").alias("line_id"), F.hash("line").alias("check"))
     # linked lines are told by their class, others by both hashes
     known = ids.join(near, F.col("line_id") == F.col("node"), "left")
