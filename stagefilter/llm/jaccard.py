@@ -5,10 +5,12 @@
 2. n-grams that are frequent somewhere are counted (each task reports those it has seen
    several times; the most frequent of the sums, a bounded number, are broadcast). They go
    last in the order in which a set is sorted, so prefixes hold rare n-grams. The order is
-   total whatever the counts, so it never decides about results, only about work.
+   total whatever the counts, so it never decides about results, only about work. How many
+   counts there are is known before the list is collected, and bounds it.
 3. Sets with equal prefixes and equal size collapse into one group. Groups that share a
-   prefix n-gram, have compatible sizes and whose parity words do not differ in more bits
-   than the similarity allows elements to differ are candidates. (A set's parity words hold,
+   prefix n-gram, have compatible sizes, whose elements from that n-gram on are enough for
+   the common part that the similarity asks for, and whose parity words do not differ in more
+   bits than it allows elements to differ are candidates. (A set's parity words hold,
    for each of PARITY_BITS buckets, whether it has an odd number of elements there: one
    element that only one of two sets has changes one bit.)
 4. Candidates are taken in two rounds, so that a family of near copies never becomes all of
@@ -41,7 +43,7 @@ from pyspark.sql import functions as F
 from stagefilter.llm.common import cut, release_finished_shuffles
 from stagefilter.llm.components import components
 
-PARITY_WORDS = 6
+PARITY_WORDS = 16
 PARITY_BITS = 64 * PARITY_WORDS
 UPPER_TO_LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
@@ -142,8 +144,16 @@ def _frequent(cfg: JaccardJoin):
 
 
 def frequent_grams(docs: DataFrame, cfg: JaccardJoin) -> Order:
-    seen = docs.select("text").mapInArrow(_frequent(cfg), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n"))
-    rows = seen.orderBy(F.desc("n"), "gram").limit(cfg.frequent).toArrow()
+    """The n-grams of the highest classes of counts (powers of two) that together hold at most cfg.frequent n-grams."""
+    seen = cut(docs.select("text").mapInArrow(_frequent(cfg), "gram long, n long").groupBy("gram").agg(F.sum("n").alias("n")))
+    level = F.floor(F.log2("n"))
+    least, total = 64, 0
+    for r in sorted(seen.groupBy(level.alias("level")).count().collect(), key=lambda r: -r.level):
+        total += r["count"]
+        if total > cfg.frequent:
+            break
+        least = r.level
+    rows = seen.filter(level >= least).toArrow()
     return Order(rows["gram"].to_numpy().view(np.uint64), rows["n"].to_numpy())
 
 
@@ -232,9 +242,9 @@ def jaccard_classes(docs: DataFrame, cfg: JaccardJoin = JaccardJoin()) -> DataFr
     group = Window.partitionBy("size", "grams")
     member = cut(kinds.withColumn("gid", F.min("rep").over(group)).withColumn("members", F.count("*").over(group)))
     # postings that more than one set has, each with the one before it
-    groups = member.filter("rep = gid").select("gid", "members", "size", F.explode("grams").alias("gram"))
+    groups = member.filter("rep = gid").select("gid", "members", "size", F.posexplode("grams").alias("at", "gram"))
     listed = Window.partitionBy("gram").orderBy("size", "gid")
-    shared = groups.select("gram", "gid", "size", F.sum("members").over(Window.partitionBy("gram")).alias("sets"), F.lag("gid").over(listed).alias("a"), F.lag("size").over(listed).alias("asize"))
+    shared = groups.select("gram", "gid", "size", "at", F.sum("members").over(Window.partitionBy("gram")).alias("sets"), F.lag("gid").over(listed).alias("a"), F.lag("size").over(listed).alias("asize"))
     posted = cut(shared.filter("sets > 1").drop("sets"))
     # first round: neighbours in posting lists, members of a group against its first
     chain = posted.filter(F.col("a").isNotNull() & (100 * F.col("asize") >= cfg.percent * F.col("size"))).select("a", F.col("gid").alias("b"))
@@ -249,9 +259,11 @@ def jaccard_classes(docs: DataFrame, cfg: JaccardJoin = JaccardJoin()) -> DataFr
     named = of.select("gid", F.col("rep").alias("r"), "c")
     lists = posted.select("gram", "gid").join(named, "gid")
     mixed = lists.groupBy("gram").agg(F.min("c").alias("lo"), F.max("c").alias("hi")).filter("lo < hi").select("gram")
-    wide = posted.select("gram", "gid").join(mixed, "gram", "left_semi").join(of, "gid").select("gram", "rep", "c", "size", *PARITY)
-    x, y = (wide.select("gram", *[F.col(k).alias(f"{side}_{k}") for k in ("rep", "c", "size", *PARITY)]) for side in "xy")
-    fits = (F.col("x_c") != F.col("y_c")) & _compatible("x_", "y_", cfg.percent) & (F.col("x_rep") < F.col("y_rep"))
+    wide = posted.select("gram", "gid", "at").join(mixed, "gram", "left_semi").join(of, "gid").select("gram", "at", "rep", "c", "size", *PARITY)
+    x, y = (wide.select("gram", *[F.col(k).alias(f"{side}_{k}") for k in ("at", "rep", "c", "size", *PARITY)]) for side in "xy")
+    # what two sets share starts with one n-gram, and is no more than either has from there on
+    enough = [(100 + cfg.percent) * (F.col(f"{s}_size") - F.col(f"{s}_at")) >= cfg.percent * (F.col("x_size") + F.col("y_size")) for s in "xy"]
+    fits = (F.col("x_c") != F.col("y_c")) & enough[0] & enough[1] & (F.col("x_rep") < F.col("y_rep")) & _compatible("x_", "y_", cfg.percent)
     rest = x.withColumnRenamed("gram", "x_gram").join(y, (F.col("x_gram") == F.col("gram")) & fits).select(F.col("x_rep").alias("a"), F.col("y_rep").alias("b")).distinct()
     rest = cut(rest.join(tried, ["a", "b"], "left_anti"))
     release_finished_shuffles(docs.sparkSession)
@@ -264,6 +276,7 @@ def jaccard_classes(docs: DataFrame, cfg: JaccardJoin = JaccardJoin()) -> DataFr
 
 
 def one_per_class(docs: DataFrame, cfg: JaccardJoin = JaccardJoin()) -> DataFrame:
-    """The documents, all columns as they are, that are the least of their class."""
-    first = jaccard_classes(docs, cfg).filter("doc_id = component_id").select(F.col("doc_id").alias("_first")).distinct()
-    return docs.join(first, F.col("doc_id") == F.col("_first"), "left_semi")
+    """The documents, all columns as they are, whatever their names, that are the least of their class."""
+    first = jaccard_classes(docs.select("doc_id", "text"), cfg).filter("doc_id = component_id").select("doc_id").distinct()
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("d"))
+    return rows.join(first, F.col("d.doc_id") == F.col("doc_id"), "left_semi").select("d.*")

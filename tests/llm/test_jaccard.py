@@ -61,6 +61,31 @@ def test_families_of_near_copies(spark):
         assert got == plain_classes(texts, 3, percent)
 
 
+def test_a_thousand_near_copies_of_long_texts(spark):
+    """Families over a small vocabulary, so that sets share n-grams across families."""
+    rng = random.Random(9)
+    vocabulary = [f"w{i}" for i in range(40)]
+    texts = {}
+    for k in range(5):
+        base = [rng.choice(vocabulary) for _ in range(rng.randrange(60, 260))]
+        for i in range(200):
+            t = list(base)
+            for _ in range(rng.randrange(3)):
+                t[rng.randrange(len(t))] = rng.choice(vocabulary)
+            texts[5 * i + k] = " ".join(t)
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string")
+    got = {r.doc_id: (r.n_shingles, r.component_id) for r in jaccard_classes(df).collect()}
+    assert got == plain_classes(texts)
+
+
+def test_clashing_columns_and_long_texts(spark):
+    names = ["doc_id", "text", "d", "_first", "size", "gram", "a.b", "component_id"]
+    long = " ".join(f"w{i * i % 9973}" for i in range(80_000))
+    df = spark.createDataFrame([(4, long, *range(6)), (2, long + " end", *range(6)), (7, None, *range(6))], names)
+    out = one_per_class(df)
+    assert out.columns == names and {r[0]: r[2:] for r in out.collect()} == {2: tuple(range(6)), 7: tuple(range(6))}
+
+
 def test_components(spark):
     rng = random.Random(2)
     links = [(i, i + 1) for i in range(0, 60)] + [(rng.randrange(100, 400), rng.randrange(100, 400)) for _ in range(200)]
