@@ -141,10 +141,14 @@ def held_out(doc_id: Column) -> Column:
 
 
 def training_rows(docs: DataFrame, cfg: ByteConv) -> list:
-    """At most cfg.sample labelled rows: those with the smallest seeded hash."""
-    rows = docs.select("doc_id", "text", "lang").filter(F.col("lang").isNotNull() & F.col("text").isNotNull() & ~held_out(F.col("doc_id")))
+    """At most cfg.sample labelled rows: those with the smallest seeded hash. Counted first, so that tasks offer few more in all than are taken."""
+    labelled = docs.filter(F.col("lang").isNotNull() & ~held_out(F.col("doc_id")))
+    n = labelled.select("doc_id").count()
+    share = min(1.0, (1.2 * cfg.sample + 300) / max(1, n))
+    h = F.xxhash64(F.lit(cfg.seed + 1), "doc_id")
+    rows = labelled.filter(F.col("text").isNotNull() & (h <= F.lit(int(-(2**63) + share * (2**64 - 1025)))))
     start = F.pmod(F.xxhash64(F.lit(cfg.seed), "doc_id"), F.greatest(F.length("text") - cfg.length, F.lit(0)) + 1).cast("int") + 1
-    cut = rows.select(F.xxhash64(F.lit(cfg.seed + 1), "doc_id").alias("h"), "doc_id", "lang", F.substring("text", start, F.lit(cfg.length)).alias("text"))
+    cut = rows.select(h.alias("h"), "doc_id", "lang", F.substring("text", start, F.lit(cfg.length)).alias("text"))
     return cut.orderBy("h", "doc_id", "lang", "text").limit(cfg.sample).collect()
 
 
