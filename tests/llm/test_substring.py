@@ -63,3 +63,28 @@ def test_minimizers_do_not_depend_on_chunks():
     text = bytes(rng.choice(b"abcd") for _ in range(3000))
     whole, parts = minimizers(text, Substrings()), minimizers(text, Substrings(chunk=257))
     assert all((a == b).all() for a, b in zip(whole, parts, strict=True))
+
+
+def test_crowded_sides_and_shared_passages(spark):
+    """Long shared phrases between texts that differ around them, with blocks so small that their sides are taken apart."""
+    rng = random.Random(3)
+    phrase, other = "we agree to all terms of this license " * 2, "and nothing else was said about it at all"
+    word = lambda: "".join(rng.choice("abcdefgh") for _ in range(6))
+    texts = []
+    for i in range(120):
+        lead, tail = [word() for _ in range(8)], [word() for _ in range(8)]
+        texts.append((i, " ".join([*lead[: rng.randrange(1, 8)], phrase[: rng.randrange(45, len(phrase))], *tail, other[rng.randrange(0, 12) :], *lead])))
+    df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
+    for block in (1, 4, 40_000):
+        check(df, Substrings(block=block, bundle=2_000, bucket=200))
+
+
+def test_long_texts_repeated_ids_and_clashing_columns(spark):
+    rng = random.Random(4)
+    long = " ".join(f"{rng.randrange(10**6)}" for _ in range(60_000))
+    rows = [(1, long, 0, 0, "x"), (2, long[7:90_000] + "é\U0001f600", 0, 0, "x"), (2, "short", 1, 1, "y"), (3, "é" * 400, 0, 0, "z"), (4, "é" * 99, 0, 0, "z"), (None, long[:500], 0, 0, "z")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, chunk long, doc long, blob string")
+    got = [tuple(r) for r in substring_dedup(df, Substrings(chunk=10_000, bundle=50_000)).collect()]
+    want = plain({1: long, 2: rows[1][1], 3: rows[3][1], 4: rows[4][1]})
+    want = [(d, *x) for d, x in want.items()] + [(2, *plain({0: "short"})[0]), (None, *plain({0: long[:500]})[0])]
+    assert sorted(got, key=str) == sorted(want, key=str)
