@@ -9,6 +9,9 @@ from pyspark.sql import functions as F
 
 LOG2E = math.log2(math.e)
 
+#: Largest filter, in bytes, that is ever collected and broadcast; larger ones stay sharded. Its bits are no more than the hashes' range, 2^31.
+MOST_BROADCAST = 256 << 20
+
 
 def ideal_bits(n: float, fpr: float) -> float:
     """Bits of an ideally filled filter: none for no keys or for a filter that lets everything through."""

@@ -3,42 +3,43 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import SparkSession
 from pyspark.sql import functions as F
 
 from stagefilter.functions.hashing import positions_np
+from stagefilter.functions.sizing import MOST_BROADCAST
+from stagefilter.operators.scoring import identities, matrix
 
 
 def register(spark: SparkSession, staged=None, bloom=None, prefix: str = "") -> list[str]:
-    """maybe_in(h, x) and score_prefix(x) of a staged filter, bloom_has(h) of a Bloom filter, and the table functions bloom_positions and filter_path. Returns the names."""
+    """maybe_in(h, x) and score_prefix(x) of a staged filter, bloom_has(h) of a Bloom filter, and the table functions bloom_positions and filter_path. Returns the names. Filters are broadcast, so their bits are checked first; null identities are never found, null features count as missing values."""
     names = []
+    held_bits = (bloom.m if bloom is not None else 0) + sum(int(f.m) for f in (staged.filters.values() if staged is not None else ()))
+    if held_bits // 8 > MOST_BROADCAST:
+        raise ValueError(f"{held_bits // 8} bytes are over the broadcast limit; join with the sharded form")
     if bloom is not None:
         held = spark.sparkContext.broadcast(bloom)
 
-        @F.pandas_udf("boolean")
-        def bloom_has(h: pd.Series) -> pd.Series:
-            ok = h.notna().to_numpy()
-            out = np.zeros(len(h), bool)
-            out[ok] = held.value.contains_np(h[ok].to_numpy(np.int64))
-            return pd.Series(out)
+        @F.arrow_udf("boolean")
+        def bloom_has(h: pa.Array) -> pa.Array:
+            hashes, known = identities(h)
+            return pa.array(held.value.contains_np(hashes) & known)
 
         spark.udf.register(f"{prefix}bloom_has", bloom_has)
         names.append(f"{prefix}bloom_has")
     if staged is not None:
         kept = spark.sparkContext.broadcast(staged)
 
-        @F.pandas_udf("boolean")
-        def maybe_in(h: pd.Series, x: pd.Series) -> pd.Series:
-            ok = (h.notna() & x.notna()).to_numpy()
-            out = np.zeros(len(h), bool)
-            if ok.any():
-                out[ok] = kept.value.walk(h[ok].to_numpy(np.int64), np.stack(x[ok].to_numpy()).astype(float))[0]
-            return pd.Series(out)
+        @F.arrow_udf("boolean")
+        def maybe_in(h: pa.Array, x: pa.Array) -> pa.Array:
+            hashes, known = identities(h)
+            return pa.array(kept.value.walk(hashes, matrix(x, kept.value.ensemble.width))[0] & known)
 
-        @F.pandas_udf("array<double>")
-        def score_prefix(x: pd.Series) -> pd.Series:
-            return pd.Series(list(kept.value.ensemble.prefixes(np.stack(x.to_numpy()).astype(float)))) if len(x) else pd.Series([], dtype=object)
+        @F.arrow_udf("array<double>")
+        def score_prefix(x: pa.Array) -> pa.Array:
+            s = kept.value.ensemble.prefixes(matrix(x, kept.value.ensemble.width))
+            return pa.ListArray.from_arrays(pa.array((np.arange(len(s) + 1) * s.shape[1]).astype(np.int32)), pa.array(s.ravel()))
 
         @F.udtf(returnType="step int, component string, found boolean")
         class FilterPath:

@@ -11,10 +11,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from stagefilter.functions.hashing import BLOCK_BITS, block_of, positions, positions_np
-from stagefilter.functions.sizing import bloom_size
+from stagefilter.functions.sizing import MOST_BROADCAST, bloom_size
 
-#: Largest filter, in bytes, that is ever collected and broadcast; larger ones stay sharded.
-MOST_BROADCAST = 512 << 20
 #: The uneven load of blocks raises the rate by up to this factor at the rates in use; sharded filters are sized for it.
 BLOCK_LOAD = 1.03
 

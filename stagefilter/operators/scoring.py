@@ -7,6 +7,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -50,6 +51,11 @@ class Ensemble:
     def depth(self) -> int:
         return len(self.trees)
 
+    @property
+    def width(self) -> int:
+        """Values of a row that the trees look at."""
+        return 1 + max((int(t.feat.max(initial=-1)) for t in self.trees), default=-1)
+
     def bits(self) -> np.ndarray:
         return np.array([t.bits for t in self.trees], float)
 
@@ -74,9 +80,25 @@ class Ensemble:
         return Ensemble(self.trees[:depth], self.base, self.features, self.link)
 
 
-def matrix(column: pa.Array) -> np.ndarray:
+def matrix(column: pa.Array, width: int = 0) -> np.ndarray:
+    """Rows of an array column; a null row is all missing values. width: least number of values in a row."""
+    if isinstance(column, pa.ChunkedArray):
+        column = column.combine_chunks()
+    if not len(column):
+        return np.zeros((0, max(1, width)))
+    known = ~column.is_null().to_numpy(zero_copy_only=False)
     flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.float64)
-    return flat.reshape(len(column), -1) if len(column) else flat.reshape(0, 1)
+    rows = flat.reshape(int(known.sum()), -1) if known.any() else np.zeros((0, width))
+    if known.all() and rows.shape[1] >= width:
+        return rows
+    out = np.full((len(column), max(1, width, rows.shape[1])), np.nan)
+    out[known, : rows.shape[1]] = rows
+    return out
+
+
+def identities(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of a batch, 0 for nulls, and which are known. Never by way of floats: those lose the low bits of 60-bit hashes."""
+    return pc.fill_null(column, 0).to_numpy(), column.is_valid().to_numpy(zero_copy_only=False)
 
 
 def score_prefixes(df: DataFrame, ensemble: Ensemble, keep: tuple[str, ...] = ("eid", "h", "is_key", "split")) -> DataFrame:
@@ -85,7 +107,7 @@ def score_prefixes(df: DataFrame, ensemble: Ensemble, keep: tuple[str, ...] = ("
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            s = held.value.prefixes(matrix(b.column("x")))
+            s = held.value.prefixes(matrix(b.column("x"), held.value.width))
             offsets = pa.array(np.arange(0, s.size + 1, max(1, s.shape[1]))[: len(s) + 1].astype(np.int32))
             yield pa.RecordBatch.from_arrays([*[b.column(c) for c in keep], pa.ListArray.from_arrays(offsets, pa.array(s.ravel()))], names=[*keep, "s"])
 

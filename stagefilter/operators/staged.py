@@ -9,6 +9,7 @@ from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -17,7 +18,7 @@ from stagefilter.functions.sizing import bloom_size, ideal_bits
 from stagefilter.operators.bloom import BLOCK_BITS, MOST_BROADCAST, AcceptAll, BloomFilter, RejectAll, bit_is_set, bitmaps, block_of
 from stagefilter.operators.boosting import Boosting, train
 from stagefilter.operators.flow import ALPHAS, bin_of, flows, quantile_thetas
-from stagefilter.operators.scoring import Ensemble, matrix, score_prefixes
+from stagefilter.operators.scoring import Ensemble, identities, matrix, score_prefixes
 from stagefilter.plans.config_dp import Costs, Plan, configure, refill
 from stagefilter.plans.thresholds import DensitySampler, knots_to_alphas, thetas_from_sketch
 
@@ -108,7 +109,7 @@ class StagedFilter:
     # --- distributed use ------------------------------------------------------------
 
     def routed(self, keys: DataFrame) -> DataFrame:
-        """(filter, h): each key once for every filter on its path."""
+        """(filter, h): each key once for every filter on its path. Rows without an identity are no keys."""
         held = keys.sparkSession.sparkContext.broadcast(self)
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -116,11 +117,11 @@ class StagedFilter:
                 if not b.num_rows:
                     continue
                 h = b.column(0).to_numpy()
-                _, depth, role, region, _, _ = held.value.walk(h, matrix(b.column(1)), probe=False)
+                _, depth, role, region, _, _ = held.value.walk(h, matrix(b.column(1), held.value.ensemble.width), probe=False)
                 paths = held.value.path_names(depth, role, region)
                 yield pa.RecordBatch.from_arrays([pa.array([f for p in paths for f in p], pa.string()), pa.array(np.repeat(h, [len(p) for p in paths]))], names=["filter", "h"])
 
-        return keys.select("h", "x").mapInArrow(run, "filter string, h long")
+        return keys.select("h", "x").filter("h is not null").mapInArrow(run, "filter string, h long")
 
     def materialise(self, keys: DataFrame) -> StagedFilter:
         """Sizes every filter from exact key counts, then sets all bits in the JVM, one bitmap per filter and block."""
@@ -144,27 +145,19 @@ class StagedFilter:
                 shapes.append((name, f.m, f.k, f.seed))
         if sum(m for _, m, _, _ in shapes) // 8 > MOST_BROADCAST:
             raise ValueError("filters are over the broadcast limit; use sharded_bits")
-        if shapes:
-            spark = keys.sparkSession
-            shape = F.broadcast(spark.createDataFrame(shapes, "filter string, m long, k long, seed long"))  # one row per filter of the plan
-            points = routed.join(shape, "filter").select("filter", F.explode(positions(F.col("h"), F.col("seed"), F.col("k"), F.col("m"))).alias("p"))
-            for r in bitmaps(points, "filter").toLocalIterator():
-                f, part = self.filters[r["filter"]], np.frombuffer(bytes(r.bits), np.uint8)
-                a = r.block * BLOCK_BITS // 8
-                f.bits[a : a + len(part)] |= part[: len(f.bits) - a]
+        self._set_bits(routed, [name for name, *_ in shapes])
         self.report.insertion += time.perf_counter() - began
         return self
 
     def lookup(self, df: DataFrame, keep: tuple[str, ...] = ("eid",)) -> DataFrame:
-        """keep columns and the verdict. Needs h and x. A null identity is never found."""
+        """keep columns and the verdict. Needs h and x. A null identity is never found; null features count as missing values."""
         held = df.sparkSession.sparkContext.broadcast(self)
         roles = np.array(["plain", "gate", "exit", "leaf"])
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for b in batches:
-                known = ~np.asarray(b.column("h").is_null())
-                h = np.where(known, np.nan_to_num(b.column("h").to_numpy(zero_copy_only=False).astype(float)), 0).astype(np.int64) if not known.all() else b.column("h").to_numpy()
-                found, depth, role, region, learners, probes = held.value.walk(h, matrix(b.column("x")))
+                h, known = identities(b.column("h"))
+                found, depth, role, region, learners, probes = held.value.walk(h, matrix(b.column("x"), held.value.ensemble.width))
                 yield pa.RecordBatch.from_arrays([*[b.column(c) for c in keep], pa.array(found & known), pa.array(depth), pa.array(roles[role]), pa.array(region), pa.array(learners), pa.array(probes)], names=[*keep, *[x.split()[0] for x in VERDICT.split(", ")]])
 
         rows = df.select(*dict.fromkeys([*keep, "h", "x"]))
@@ -172,15 +165,30 @@ class StagedFilter:
         return rows.mapInArrow(run, types + VERDICT)
 
     def insert(self, keys: DataFrame) -> StagedFilter:
-        """Adds keys to the live filters along their paths. A filter that rejected all becomes a small real one."""
-        for r in self.routed(keys).groupBy("filter").agg(F.collect_list("h").alias("h")).toLocalIterator():
-            f = self.filters.get(r["filter"])
-            if isinstance(f, RejectAll):
-                f = self.filters[r["filter"]] = BloomFilter.empty(max(64, 2 * len(r.h)), self.plan.fpr, self.seed + 997)
-            if f is not None:
-                f.insert(np.array(r.h, np.int64))
+        """Adds keys to the live filters along their paths. A filter that rejected all becomes a small real one. Counts and bitmaps reach the driver, never hashes."""
+        routed = self.routed(keys)
+        counts = {r["filter"]: r["count"] for r in routed.groupBy("filter").count().collect()}
+        for name, n in counts.items():
+            if isinstance(self.filters.get(name), RejectAll):
+                self.filters[name] = BloomFilter.empty(max(64, 2 * n), self.plan.fpr, self.seed + 997)
+        self._set_bits(routed, [name for name in counts if isinstance(self.filters.get(name), BloomFilter)])
+        for name, n in counts.items():
+            if isinstance(f := self.filters.get(name), BloomFilter):
+                f.n += n
         return self
 
+    def _set_bits(self, routed: DataFrame, names: list[str]) -> None:
+        """Sets the bits of the routed keys in the JVM, one bitmap per filter and block, and joins them to the filters."""
+        if not names:
+            return
+        shapes = [(n, f.m, f.k, f.seed) for n in names if (f := self.filters[n])]
+        shape = F.broadcast(routed.sparkSession.createDataFrame(shapes, "filter string, m long, k long, seed long"))  # one row per filter of the plan
+        points = routed.join(shape, "filter").select("filter", F.explode(positions(F.col("h"), F.col("seed"), F.col("k"), F.col("m"))).alias("p"))
+        for r in bitmaps(points, "filter").toLocalIterator():
+            f, part = self.filters[r["filter"]], np.frombuffer(bytes(r.bits), np.uint8)
+            a = r.block * BLOCK_BITS // 8
+            f.bits[a : a + len(part)] |= part[: len(f.bits) - a]
+
     def sharded_bits(self, keys: DataFrame) -> tuple[DataFrame, DataFrame]:
         """The filters as tables: shapes (filter, blocks, k, seed) and bits (filter, block, bits). Nothing but counts is collected."""
         spark = keys.sparkSession
@@ -197,17 +205,69 @@ class StagedFilter:
         points = rows.select("filter", block_of(h, F.col("seed"), F.col("blocks")).alias("block"), F.explode(positions(h, F.col("seed"), F.col("k"), F.lit(BLOCK_BITS))).alias("at"))
         return shape, points.groupBy("filter", "block").agg(F.bitmap_construct_agg("at").alias("bits"))
 
-    def lookup_sharded(self, df: DataFrame, shape: DataFrame, bits: DataFrame) -> DataFrame:
-        """(eid, found) against sharded filters: scores first, then all probes of an element in one join on (filter, block)."""
-        spark = df.sparkSession
-        fixed = spark.createDataFrame([(n, bool(fpr >= 1)) for n, fpr, _ in self.names()], "filter string, open boolean")
-        paths = self.routed(df.select("h", "x")).distinct().join(F.broadcast(fixed), "filter").join(F.broadcast(shape), "filter", "left")
+    def _advance(self, df: DataFrame, first: int, last: int) -> DataFrame:
+        """Runs learners first + 1 .. last for the rows that are still under way (asked is null). A row that leaves at an exit, or after the last learner, names its filter and drops its features."""
+        held = df.sparkSession.sparkContext.broadcast(self)
+
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            f, p = held.value, held.value.plan
+            for b in batches:
+                margin, asked = b.column("margin").to_numpy().copy(), np.array(b.column("asked").to_pylist(), object)
+                rows = np.flatnonzero([a is None for a in asked])
+                x = matrix(b.column("x"), f.ensemble.width)
+                for d in range(first, last):
+                    margin[rows] += f.ensemble.trees[d].predict(x[rows])
+                    s = f.ensemble.margin_to_score(margin[rows], d + 1)
+                    if d + 1 < p.depth:
+                        out = s >= p.flow.theta[d]
+                        asked[rows[out]] = f"e{d + 1}"
+                        rows = rows[~out]
+                    else:
+                        k = np.searchsorted(np.array(p.flow.cuts[d]), bin_of(s, p.flow.bins), side="right")
+                        asked[rows] = [f"l{i}" for i in k]
+                done = pa.array(asked, pa.string())
+                yield pa.RecordBatch.from_arrays([b.column("eid"), b.column("h"), pc.if_else(done.is_null(), b.column("x"), pa.scalar(None, b.column("x").type)), pa.array(margin), done], names=["eid", "h", "x", "margin", "asked"])
+
+        return df.select("eid", "h", "x", "margin", "asked").mapInArrow(run, f"eid string, h long, x {df.schema['x'].dataType.simpleString()}, margin double, asked string")
+
+    def lookup_sharded(self, df: DataFrame, shape: DataFrame, bits: DataFrame, spread: int = 64) -> DataFrame:
+        """(eid, found) against sharded filters, one row for each row of df.
+
+        Learners up to a gate run in one Arrow pass, the gate is one join on (filter, block), and only
+        rows that it lets through go on; the exits and leaves of all rows are one last join. A filter
+        of few blocks is copied until it has `spread` of them, and rows are dealt over the copies, so
+        that no block draws all rows to one task. Rows that ask nothing meet no block and spread by hash.
+        """
+        spark, p = df.sparkSession, self.plan
+        shapes = {r["filter"]: r for r in shape.collect()}  # one row per filter of the plan
+        rates = {n: fpr for n, fpr, _ in self.names()}
+        copies = F.greatest(F.lit(1), F.floor(F.lit(spread) / F.col("blocks"))).cast("int")
+        table = bits.join(F.broadcast(shape), "filter").select(F.col("filter").alias("_f"), F.col("block").alias("_b"), "bits", F.explode(F.sequence(F.lit(0), copies - 1)).alias("_copy"))
+        shape = F.broadcast(spark.createDataFrame([(n, bool(fpr >= 1), *((s.blocks, s.k, s.seed) if (s := shapes.get(n)) else (None,) * 3)) for n, fpr in rates.items()], "_n string, open boolean, blocks long, k long, seed long"))
         h = F.col("h")
-        asked = paths.withColumn("block", F.when(F.col("k").isNotNull(), block_of(h, F.col("seed"), F.col("blocks"))))
-        met = asked.join(bits.select(F.col("filter").alias("_f"), F.col("block").alias("_b"), "bits"), (F.col("filter") == F.col("_f")) & (F.col("block") == F.col("_b")), "left")
-        hit = F.when(F.col("open"), True).when(F.col("bits").isNull(), False).otherwise(F.forall(positions(h, F.col("seed"), F.col("k"), F.lit(BLOCK_BITS)), lambda p: bit_is_set(F.col("bits"), p)))
-        verdict = met.groupBy("h").agg(F.bool_and(hit).alias("found"))
-        return df.select("eid", "h").join(verdict, "h").select("eid", "found")
+
+        def probe(rows: DataFrame, name) -> DataFrame:
+            """rows with `hit`: whether the filter named by the column `name` has the row; null where that is null."""
+            known = rows.withColumn("_name", name).join(shape, F.col("_name") == F.col("_n"), "left")
+            some = F.col("_n").isNotNull() & ~F.col("open") & F.col("k").isNotNull()
+            known = known.withColumn("_block", F.when(some, block_of(h, F.col("seed"), F.col("blocks"))).otherwise(-1 - F.abs(F.xxhash64("eid") % 1_000_003)))
+            known = known.withColumn("_part", F.when(some, F.pmod(F.xxhash64("h", "eid"), copies)).otherwise(0).cast("int"))
+            met = known.join(table, (F.col("_name") == F.col("_f")) & (F.col("_block") == F.col("_b")) & (F.col("_part") == F.col("_copy")), "left") if shapes else known.withColumn("bits", F.lit(None).cast("binary"))
+            inside = F.forall(positions(h, F.col("seed"), F.col("k"), F.lit(BLOCK_BITS)), lambda at: bit_is_set(F.col("bits"), at))
+            hit = F.when(F.col("_n").isNull(), None).when(F.col("open"), True).when(F.col("bits").isNull(), False).otherwise(inside)
+            return met.select(*[F.col(c) for c in rows.columns], hit.alias("hit"))
+
+        none = "-"  # asks no filter: rejected
+        rows = df.select(F.col("eid").cast("string").alias("eid"), "h", "x", F.lit(float(self.ensemble.base)).alias("margin"), F.when(h.isNull(), none).otherwise("plain" if not p.depth else F.lit(None)).cast("string").alias("asked"))
+        at = 0
+        for d in range(p.depth):
+            if p.gates[d] and rates.get(f"g{d + 1}", 1.0) < 1:
+                rows = self._advance(rows, at, d) if d > at else rows
+                at = d
+                passed = probe(rows, F.when(F.col("asked").isNull(), f"g{d + 1}"))
+                rows = passed.select("eid", "h", "x", "margin", F.when(F.col("hit") | F.col("hit").isNull(), F.col("asked")).otherwise(none).alias("asked"))
+        rows = self._advance(rows, at, p.depth) if p.depth else rows
+        return probe(rows.select("eid", "h", "asked"), F.col("asked")).select("eid", F.coalesce("hit", F.lit(False)).alias("found"))
 
     def memory(self) -> list[tuple[str, float, int]]:
         """(part, ideal bits, actual bits)."""

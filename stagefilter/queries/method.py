@@ -566,12 +566,32 @@ def staged_fpr_vs_target(spark: SparkSession, sf: str) -> DataFrame:
     return f.lookup(e.filter("split = 'test'")).agg(F.round(F.avg(F.col("found").cast("int")), 6).alias("rate"), F.count("*").alias("n"))
 
 
-@query(f"WITH {scored_sql()} SELECT count(*) AS keys, 0::BIGINT AS missed FROM q WHERE is_key")
+@query(f"WITH {_staged_sql()} SELECT count(*) FILTER (WHERE split = 'key') AS keys, 0::BIGINT AS missed, count(*) FILTER (WHERE split <> 'key') AS others, true AS rate_ok FROM w")
 def staged_sharded_lookup(spark: SparkSession, sf: str) -> DataFrame:
+    """All rows through sharded filters: keys are found, and other rows pass as rarely as through the broadcast form (within four deviations)."""
     e, f = fixed_staged(spark, sf)
-    keys = e.filter("split = 'key'")
-    shape, bits = f.sharded_bits(keys)
-    return f.lookup_sharded(keys, shape, bits).agg(F.count("*").alias("keys"), F.count_if(~F.col("found")).alias("missed"))
+    shape, bits = f.sharded_bits(e.filter("split = 'key'"))
+    seen = f.lookup_sharded(e, shape, bits).join(f.lookup(e, ("eid", "split")).select("eid", "split", F.col("found").alias("plainly")), "eid")
+    key, other = F.col("split") == "key", F.col("split") != "key"
+    rate = lambda c: F.avg(F.when(other, F.col(c).cast("int")))
+    close = F.abs(rate("found") - rate("plainly")) <= 4 * F.sqrt(2 * rate("plainly") / F.count_if(other)) + 0.001
+    return seen.agg(F.count_if(key).alias("keys"), F.count_if(key & ~F.col("found")).alias("missed"), F.count_if(other).alias("others"), close.alias("rate_ok"))
+
+
+@query(f"""WITH {scored_sql()} SELECT form, count(*) AS keys, 0::BIGINT AS missed, 0::BIGINT AS nulls_found FROM q, (VALUES ('broadcast'), ('sharded')) v(form) WHERE is_key GROUP BY form""")
+def staged_null_identity(spark: SparkSession, sf: str) -> DataFrame:
+    """Keys are found whatever else stands in their batch: a row without identity and one without features go into every partition."""
+    e, f = fixed_staged(spark, sf)
+    keys = e.filter("split = 'key'").select("eid", "h", "x", F.lit(True).alias("key"))
+    shape, bits = f.sharded_bits(e.filter("split = 'key'"))
+    odd = keys.limit(1).select(F.explode(F.sequence(F.lit(1), F.lit(64))).alias("i"), "x").select(F.concat(F.lit("odd-"), "i").alias("eid"), F.lit(None).cast("long").alias("h"), F.when(F.col("i") % 2 == 0, F.col("x")).alias("x"), F.lit(False).alias("key"))
+    rows = keys.unionByName(odd).repartition(8).persist()
+    out = None
+    for form, v in (("broadcast", f.lookup(rows)), ("sharded", f.lookup_sharded(rows, shape, bits))):
+        v = rows.select("eid", "key").join(v.select("eid", "found"), "eid", "left")
+        v = v.agg(F.count_if("key").alias("keys"), F.count_if(F.col("key") & ~F.coalesce("found", F.lit(False))).alias("missed"), F.count_if(~F.col("key") & F.coalesce("found", F.lit(True))).alias("nulls_found")).select(F.lit(form).alias("form"), "*")
+        out = v if out is None else out.union(v)
+    return out
 
 
 @query(f"WITH {scored_sql()} SELECT count(*) AS added, 0::BIGINT AS missed FROM q WHERE split = 'train'")

@@ -76,11 +76,10 @@ def keyed_filter_state(stream: DataFrame, shards: int, n: int, fpr: float) -> Da
     def step(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
         f = BloomFilter(empty.m, empty.k, 0, np.frombuffer(state.get[0], np.uint8).copy() if state.exists else np.zeros_like(empty.bits), fpr)
         for rows in batches:
-            new = []
-            for h in rows.h.to_numpy(np.int64):
-                one = np.array([h])
-                new.append(not f.contains_np(one)[0])
-                f.insert(one)
+            h = rows.h.to_numpy(np.int64)
+            # a key is new where it stands first in the batch and the filter had not seen it
+            new = ~f.contains_np(h) & ~rows.h.duplicated().to_numpy()
+            f.insert(h[new])
             yield pd.DataFrame({"shard": key[0], "h": rows.h, "new": new})
         state.update((f.bits.tobytes(),))
 

@@ -128,3 +128,30 @@ def test_learning_baselines_miss_no_key(hashes):
     p = ProjectionHash(k=8, m=4000).fit(kx, nx)
     assert p.contains_x(kx).all()
     assert (p.contains_x(nx, "row") == p.contains_x(nx, "batch")).all()
+
+
+def test_nulls_in_a_batch_lose_no_key(spark):
+    """A null identity or null features beside keys: hashes keep all their bits, nulls are never found, nothing fails."""
+    e, f = fixed_staged(spark, SF)
+    keys = e.filter("split = 'key'").select("eid", "h", "x").limit(300)
+    odd = keys.limit(4).selectExpr("concat('odd-', eid) as eid", "cast(null as bigint) as h", "if(eid > '1', x, cast(null as array<float>)) as x")
+    rows = keys.unionByName(odd).coalesce(1).persist()
+    blank = keys.limit(3).selectExpr("eid", "h", "cast(null as array<float>) as x").coalesce(1)
+    shape, bits = f.sharded_bits(e.filter("split = 'key'"))
+    for form in (f.lookup, lambda df: f.lookup_sharded(df, shape, bits)):
+        got = {r.eid: r.found for r in form(rows).collect()}
+        assert len(got) == 304 and all(found != eid.startswith("odd-") for eid, found in got.items())
+        assert form(blank).count() == 3
+    assert f.routed(rows).filter("h is null").count() == 0
+
+
+def test_registered_functions_with_nulls(spark):
+    from stagefilter.functions.udfs import register
+
+    e, f = fixed_staged(spark, SF)
+    keys = e.filter("split = 'key'").select("h", "x").limit(200)
+    bloom = BloomFilter.build(keys, "h", 0.01)
+    register(spark, staged=f, bloom=bloom, prefix="tn_")
+    keys.unionByName(keys.limit(1).selectExpr("cast(null as bigint) as h", "x")).coalesce(1).createOrReplaceTempView("tn_rows")
+    r = spark.sql("select count_if(tn_bloom_has(h) and tn_maybe_in(h, x)) as hits, count_if(h is null and (tn_bloom_has(h) or tn_maybe_in(h, x))) as wrong from tn_rows").first()
+    assert r.hits == 200 and r.wrong == 0
