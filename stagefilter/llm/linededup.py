@@ -16,9 +16,10 @@ be so many, are collapsed before. Only keys with two different lines, one of the
 on, and only their lines' texts are fetched again.
 
 Candidates are taken in two rounds, so that a family of near copies never becomes all its
-pairs: neighbours in the list of each key first; their verified links make components; then
-lists that still hold several components are compared across these. Candidates must have
-symbol counts that so few edits explain, and are verified by a banded bit-parallel edit
+pairs: neighbours in the list of each key first, by length, by text and by the text read
+backwards; their verified links make components; then lists that still hold several
+components are compared across these. Candidates must agree in all but so many of the
+parities of their symbols' classes as the edits explain, and are verified by a banded bit-parallel edit
 distance after common heads and tails are cut. Of each class the first line (least doc_id,
 then text, then line number) stays and all others are removed.
 
@@ -41,8 +42,8 @@ from pyspark.sql import functions as F
 from stagefilter.llm.common import cut, let, release_finished_shuffles
 from stagefilter.llm.components import components
 
-#: Symbols are counted in so many classes for the candidate filter; each count has one byte of the signature.
-COUNTED = 7
+#: Symbols fall into so many classes: one letter of a line's code, one bit of its signature.
+CLASSES = 126
 BLANK = " \t\n\x0b\x0c\r"
 
 
@@ -92,26 +93,29 @@ def symbols(line: Column, by_words: Column | bool) -> Column:
     return F.when(by_words, F.split(line, " ")).otherwise(F.split(line, ""))
 
 
+def code(line: Column, by_words: Column) -> Column:
+    """A text with one character for each symbol: the line itself, or a letter of the class of each word. Equal symbols have equal letters."""
+    letters = F.transform(F.split(line, " "), lambda w: F.char(F.pmod(F.hash(w), F.lit(CLASSES)) + 1))
+    return F.when(by_words, F.array_join(letters, "")).otherwise(line)
+
+
 def signature(line: Column, by_words: Column | bool = False) -> Column:
-    """Counts of the line's symbols of each class modulo 256, a byte each."""
+    """Two words with a bit for each class: whether the line has an odd number of its symbols."""
 
-    def counts(classes: Column) -> Column:
-        out = F.lit(0).cast("long")
-        for i in range(COUNTED):
-            n = F.size(classes) - F.size(F.array_remove(classes, i))
-            out = out.bitwiseOR(F.shiftleft(n.bitwiseAND(F.lit(255)).cast("long"), 8 * i))
-        return out
+    def odd(bits: Column, symbol: Column) -> Column:
+        def flip(at: Column) -> Column:
+            bit = F.call_function("shiftleft", F.lit(1).cast("long"), at % 63)
+            return F.struct(F.when(at < 63, bits.getField("a").bitwiseXOR(bit)).otherwise(bits.getField("a")).alias("a"), F.when(at >= 63, bits.getField("b").bitwiseXOR(bit)).otherwise(bits.getField("b")).alias("b"))
 
-    return let(F.transform(symbols(line, by_words), lambda x: F.pmod(F.hash(x), F.lit(COUNTED))), counts)
+        return let(F.pmod(F.hash(symbol), F.lit(CLASSES)), flip)
+
+    none = F.struct(F.lit(0).cast("long").alias("a"), F.lit(0).cast("long").alias("b"))
+    return F.aggregate(symbols(line, by_words), none, odd)
 
 
 def signatures_close(a: Column, b: Column, edits: int | Column) -> Column:
-    """False only for lines more than `edits` apart: an edit changes two counts by one at most."""
-    total = F.lit(0).cast("long")
-    for i in range(COUNTED):
-        d = F.abs(F.shiftright(a, 8 * i).bitwiseAND(F.lit(255)) - F.shiftright(b, 8 * i).bitwiseAND(F.lit(255)))
-        total = total + F.least(d, 256 - d)
-    return total <= 2 * edits
+    """False only for lines more than `edits` apart: an edit flips two bits at most."""
+    return F.bit_count(a.getField("a").bitwiseXOR(b.getField("a"))) + F.bit_count(a.getField("b").bitwiseXOR(b.getField("b"))) <= 2 * edits
 
 
 def places(cfg: LineJoin) -> list[tuple[int, int, int, int, bool]]:
@@ -130,22 +134,18 @@ def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
     """id, by_words, key, filed: what each line is filed under and what it probes."""
     table = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s"), F.lit(i).alias("i"), F.lit(m).alias("m"), F.lit(f).alias("filed")) for k, s, i, m, f in places(cfg)])
     n_words = F.size(F.split("line", " "))
-    out = None
-    for by_words in (False, True) if cfg.long else (False,):
-        mine = lines if not cfg.long else lines.filter(n_words >= cfg.long if by_words else n_words < cfg.long + cfg.band)
-        cut_up = mine.select(F.xxhash64("line").alias("id"), symbols(F.col("line"), by_words).alias("parts")).select("id", "parts", F.size("parts").alias("n"))
-        at = cut_up.select("id", "parts", "n", F.inline(table)).withColumn("l", F.col("n") - F.col("s"))
-        at = at.filter((F.col("l") > 0) & (cfg.threshold(F.col("l"), by_words) == F.col("k")))
-        # nearly even segments, the longer ones last
-        even = F.floor(F.col("l") / (F.col("k") + 1)).cast("int")
-        extra = F.col("l") - even * (F.col("k") + 1)
-        start = 1 + even * (F.col("i") - 1) + F.greatest(F.lit(0), extra - (F.col("k") + 2 - F.col("i"))) + F.col("m")
-        width = even + F.when(extra > F.col("k") + 1 - F.col("i"), 1).otherwise(0)
-        at = at.select("id", "parts", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
-        key = F.xxhash64(F.lit(by_words), "l", "i", F.slice("parts", F.col("a"), F.col("w")))
-        rows = at.select("id", F.lit(by_words).alias("by_words"), key.alias("key"), "filed")
-        out = rows if out is None else out.union(rows)
-    return out
+    forms = F.array(F.lit(False)) if not cfg.long else F.when(n_words < cfg.long, F.array(F.lit(False))).when(n_words < cfg.long + cfg.band, F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(True)))
+    each = lines.select("line", F.explode(forms).alias("by_words"))
+    coded = each.select(F.xxhash64("line").alias("id"), "by_words", code(F.col("line"), F.col("by_words")).alias("code")).withColumn("n", F.length("code"))
+    at = coded.select("id", "by_words", "code", "n", F.inline(table)).withColumn("l", F.col("n") - F.col("s"))
+    at = at.filter((F.col("l") > 0) & (cfg.threshold(F.col("l"), F.col("by_words")) == F.col("k")))
+    # nearly even segments, the longer ones last
+    even = F.floor(F.col("l") / (F.col("k") + 1)).cast("int")
+    extra = F.col("l") - even * (F.col("k") + 1)
+    start = 1 + even * (F.col("i") - 1) + F.greatest(F.lit(0), extra - (F.col("k") + 2 - F.col("i"))) + F.col("m")
+    width = even + F.when(extra > F.col("k") + 1 - F.col("i"), 1).otherwise(0)
+    at = at.select("id", "by_words", "code", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
+    return at.select("id", "by_words", F.xxhash64("by_words", "l", "i", F.substring("code", F.col("a"), F.col("w"))).alias("key"), "filed")
 
 
 def _without_common_ends(a: Column, b: Column) -> Column:
@@ -261,8 +261,12 @@ def _verified(pairs: DataFrame, texts: DataFrame, cfg: LineJoin) -> DataFrame:
     """The pairs (a, b, by_words) of ids that are within their threshold."""
     both = pairs.join(_side(texts, "a", "line", "n", "k", "sig"), ["a", "by_words"]).join(_side(texts, "b", "line", "n", "k", "sig"), ["b", "by_words"]).filter(_fits("a_", "b_"))
     parts = [symbols(F.col(f"{c}_line"), F.col("by_words")) for c in "ab"]
+    k = F.least("a_k", "b_k")
+    near = F.lit(False)
+    for edits in range(cfg.edits, cfg.band + 1):
+        near = F.when(k == edits, within_band(*parts, edits, F.lit(edits))).otherwise(near)
     # dealt out anew: few keys may have most of the pairs
-    return both.repartition("a", "b").filter(within_band(*parts, cfg.band, F.least("a_k", "b_k"))).select("a", "b").distinct()
+    return both.repartition("a", "b").filter(near).select("a", "b").distinct()
 
 
 def _pair(x: str, y: str) -> list[Column]:
@@ -293,8 +297,9 @@ def line_components(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     met = _met(lines, cfg)
     release_finished_shuffles(lines.sparkSession)
     texts = _texts(lines, met, cfg)
-    listed = Window.partitionBy("key").orderBy("n", "id")
-    chain = met.join(texts.select("id", "by_words", "n"), ["id", "by_words"]).select("id", "by_words", F.lag("id").over(listed).alias("before")).filter("before is not null")
+    known = met.join(texts.select("id", "by_words", "n", F.left("line", F.lit(200)).alias("head"), F.reverse(F.right("line", F.lit(200))).alias("tail")), ["id", "by_words"])
+    before = [F.lag("id").over(Window.partitionBy("key").orderBy(*order, "id")) for order in (["n"], ["head"], ["tail"])]
+    chain = known.select("id", "by_words", F.array(*before).alias("before")).select("id", "by_words", F.explode("before").alias("before")).filter("before is not null")
     links = cut(_verified(chain.select(*_pair("id", "before"), "by_words").filter("a <> b").distinct(), texts, cfg))
     late = cut(_verified(_across(met, texts, components(links)), texts, cfg))
     found = components(links.union(late))
