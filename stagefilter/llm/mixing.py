@@ -23,18 +23,19 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from stagefilter.llm.common import OTHER_SPACE, words
+from stagefilter.llm.common import OTHER_SPACE, cut, words
 
 
 @dataclass(frozen=True)
 class Mix:
-    """weights: repeat over the sources in code point order, null last; total: words to take as a share of all; epochs: most repetitions of a source; buckets: hash buckets a source's documents fall in."""
+    """weights: repeat over the sources in code point order, null last; total: words to take as a share of all; epochs: most repetitions of a source; buckets: hash buckets a source's documents fall in; broadcast_sources: most sources whose plan, a row each, is broadcast; more are joined by shuffling."""
 
     weights: tuple[float, ...] = (5, 2, 1)
     total: float = 1.5
     epochs: float = 2.0
     buckets: int = 1024
     seed: int = 20240
+    broadcast_sources: int = 200_000
 
 
 def size_of(text: Column) -> Column:
@@ -77,11 +78,19 @@ def mix_plan(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
     whole = F.coalesce(F.floor(F.try_divide(F.col("target"), F.col("source_size"))), F.lit(0)).cast("long")
     rest = F.col("target") - F.col("whole") * F.col("source_size") - F.coalesce(F.sum("cell").over(in_order), F.lit(0))
     plan = plan.withColumn("whole", whole).withColumn("share", F.least(F.lit(1.0), F.greatest(F.lit(0.0), F.coalesce(F.try_divide(rest, F.col("cell")), F.lit(0.0)))))
-    plan = plan.select(F.col("source").alias("p_source"), F.col("bucket").alias("p_bucket"), "source_size", "target", "whole", "share")
+    # in bucket order a source is taken whole, then one bucket in part, then nothing: one row per source says it all
+    part = F.max(F.when((F.col("share") > 0) & (F.col("share") < 1), F.struct("bucket", "share")))
+    plan = plan.groupBy(F.col("source").alias("p_source"), "source_size", "target", "whole").agg(F.max(F.when(F.col("share") >= 1, F.col("bucket"))).alias("full_to"), part.alias("part"))
+    plan = cut(plan)
+    if plan.count() <= cfg.broadcast_sources:
+        joined = sized.join(F.broadcast(plan), F.col("source").eqNullSafe(F.col("p_source")))
+    else:  # by source and bucket, so that a hot source is spread
+        spread = plan.withColumn("p_bucket", F.explode(F.sequence(F.lit(0), F.lit(cfg.buckets - 1))))
+        joined = sized.join(spread, F.col("source").eqNullSafe(F.col("p_source")) & (F.col("bucket") == F.col("p_bucket"))).drop("p_bucket")
+    share = F.when(F.col("bucket") <= F.col("full_to"), 1.0).when(F.col("bucket") == F.col("part.bucket"), F.col("part.share")).otherwise(0.0)
     dither = F.pmod(F.xxhash64(F.lit(cfg.seed + 1), F.col("doc_id")), F.lit(1 << 20)) / F.lit(float(1 << 20))
-    extra = F.least(F.col("size"), F.floor(F.col("share") * F.col("size") + dither)).cast("long")
-    joined = sized.join(plan, F.col("source").eqNullSafe(F.col("p_source")) & (F.col("bucket") == F.col("p_bucket")))
-    return joined.withColumn("taken", F.col("whole") * F.col("size") + extra).drop("p_source", "p_bucket", "bucket", "share")
+    extra = F.least(F.col("size"), F.floor(share * F.col("size") + dither)).cast("long")
+    return joined.withColumn("taken", F.col("whole") * F.col("size") + extra).drop("p_source", "bucket", "full_to", "part")
 
 
 def mix_sources(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
