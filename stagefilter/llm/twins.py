@@ -34,7 +34,7 @@ g AS (SELECT doc_id, i, w[i:i + 4] AS g FROM (SELECT doc_id, w, unnest(generate_
 c AS (SELECT doc_id, i, count(*) OVER (PARTITION BY doc_id, g) AS n FROM g),
 r AS (SELECT doc_id, count(DISTINCT i + k) AS n_repeat FROM c CROSS JOIN generate_series(0, 4) v(k) WHERE n > 1 GROUP BY doc_id),
 ln AS (SELECT doc_id, raw, trim(regexp_replace(raw, {_WS}, ' ', 'g'), ' ') AS x FROM (SELECT doc_id, unnest(string_split(t, chr(10))) AS raw FROM d)),
-lk AS (SELECT doc_id, raw, x, length(x) - length(replace(x, ' ', '')) + 1 AS k FROM ln WHERE x <> ''),
+lk AS (SELECT doc_id, raw, x, len(regexp_extract_all(x, {_WORDS})) AS k FROM ln WHERE x <> ''),
 a AS (SELECT doc_id, count(*) - count(DISTINCT raw) AS dup, sum(length(x)) AS al, sum(CASE WHEN {_LINE_FAILS} THEN length(x) ELSE 0 END) AS lost FROM lk GROUP BY doc_id),
 b AS (SELECT w.doc_id, len(w) AS n_words, CAST(coalesce(list_sum(list_transform(w, lambda z: length(z))), 0) AS BIGINT) AS word_chars, length(t) - {_not_in('t', SYMBOLS)} AS n_symbols, coalesce(dup, 0) AS n_dup_lines,
       coalesce(n_repeat, 0) AS n_repeat_words, coalesce(CAST(lost AS DOUBLE) / CAST(al AS DOUBLE), 0.0) AS lost_share FROM w LEFT JOIN r USING (doc_id) LEFT JOIN a USING (doc_id))

@@ -106,5 +106,8 @@ def test_quality_line_rules(spark, no_docs):
     df = spark.createDataFrame([(1, good + "home | about | us | help"), (2, "A | b | c | d | e | f | g | h | i | j | k"), (3, good)], "doc_id long, text string")
     kept = {r.doc_id: r.kept for r in quality_rules(df).collect()}
     assert kept == {1: True, 2: False, 3: True}
+    # doubled spaces make no words: three words without an end
+    spaced = spark.createDataFrame([(1, good + "three   spaced    words"), (2, good + "four  words   stand here")], "doc_id long, text string")
+    assert {r.doc_id: r.lost_share > 0 for r in quality_rules(spaced).collect()} == {1: True, 2: False}
     lines = df.select(kept_lines(df.text, LineRules()).alias("x")).first().x
     assert lines == [good.strip()]
