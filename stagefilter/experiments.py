@@ -3,24 +3,46 @@
 from __future__ import annotations
 
 import time
+from dataclasses import replace
+from functools import cached_property
 
-from pyspark.sql import DataFrame, SparkSession
+import numpy as np
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stagefilter import measures as M
 from stagefilter.operators import baselines as B
+from stagefilter.operators import joins
+from stagefilter.operators.bloom import BloomFilter
 from stagefilter.operators.boosting import Boosting, train
 from stagefilter.operators.flow import flows, quantile_thetas
 from stagefilter.operators.scoring import Ensemble, matrix, score_prefixes
 from stagefilter.operators.staged import StagedFilter, best_plan, build, plain_costs, refine
-from stagefilter.plans.config_dp import Plan, configure
-from stagefilter.sources.workloads import load
+from stagefilter.plans.config_dp import Plan, configure, refill
+from stagefilter.sources.workloads import WORKLOADS, load, table
+from stagefilter.streaming import service
 
 RATES = (0.1, 0.05, 0.02, 0.01, 0.005, 0.002, 0.001)
 LAMBDAS = (0.0, 0.3, 0.5, 0.7, 0.9, 0.99, 1.0)
 ROW = "workload string, method string, fpr double, lam double, depth int, bits double, model_bits double, reject double, expected_fpr double"
 
 
+#: What the paper's three main sets stand for: short strings, wide rows, many rows of few features.
+MAIN = ("url_easy", "file_wide", "physics_hard")
+TIMED = "workload string, method string, fpr double, lam double, depth int, bits double, reject_us double, plain_us double"
+_KEPT: dict[tuple, "Bench"] = {}
+
+
+def bench(spark: SparkSession, sf_dir: str, name: str, boosting: Boosting = Boosting(), most: int = 4) -> "Bench":
+    """The bench of a workload; the last few of a session are kept, so that experiments share their training."""
+    key = (spark.sparkContext.applicationId, sf_dir, name, boosting)
+    if key not in _KEPT:
+        while len(_KEPT) >= most:
+            _KEPT.pop(next(iter(_KEPT))).close()
+        _KEPT[key] = Bench(spark, sf_dir, name, boosting)
+    return _KEPT[key]
+
+
 class Bench:
     """One workload, trained and scored once; all plans come from its flows."""
 
@@ -38,14 +60,28 @@ class Bench:
         self.flows = flows(self.scored, self.thetas)
         self.keys, self.others = B.histograms(self.scored)
 
-    def costs(self, fpr: float):
-        return plain_costs(self.ensemble, self.n, fpr)
-
-    def staged(self, fpr: float, lam: float = 1.0, deepest: int | None = None) -> Plan:
-        out = [f for f in self.flows]
-        if deepest:
-            out = [_head(f, deepest) for f in out]
-        return best_plan(out, self.costs(fpr), fpr, lam)
+    def costs(self, fpr: float, timed: bool = False):
+        c = plain_costs(self.ensemble, self.n, fpr)
+        return replace(c, time=self.times[0], plain_time=self.times[1]) if timed else c
+
+    @cached_property
+    def times(self) -> tuple[np.ndarray, float]:
+        """Measured seconds per element of each learner and of one filter probe, on at most 10,000 unseen non-keys."""
+        t = self.examples.filter("split = 'test'").select("h", "x").limit(10_000).toArrow()
+        h, x = t["h"].to_numpy(), matrix(t["x"], self.ensemble.width)
+        rows = max(1, len(h))
+        plain = BloomFilter.empty(max(1, self.n), 0.001)
+        return np.array([M.median_time(lambda t=t: t.predict(x), 3) / rows for t in self.ensemble.trees]), M.median_time(lambda: plain.contains_np(h), 9) / rows
+
+    def staged(self, fpr: float, lam: float = 1.0, deepest: int | None = None, timed: bool = False) -> Plan:
+        """The best of the searched plans and of their special case without gates and exits, which is the partitioned filter; backup filters take what clipping leaves, as there."""
+        c = self.costs(fpr, timed)
+        found = [_head(f, deepest) for f in self.flows] if deepest else list(self.flows)
+        plans = [configure(f, c, fpr, lam) for f in found]
+        plans += [replace(B.partitioned(self.keys, self.others, fpr, c, d, fill=False), lam=lam) for d in self.depths() if d <= (deepest or d)]
+        cost = lambda p: lam * p.memory / c.plain_bits + (1 - lam) * p.reject / c.plain_time if p.depth else lam
+        plans = [replace(q, objective=cost(q)) for q in map(refill, plans)]
+        return min(plans, key=lambda p: (round(p.objective, 12), p.reject, p.memory, p.depth))
 
     def depths(self) -> list[int]:
         return [d for d in (1, 2, 5, 10, 20, 50, 100) if d <= self.ensemble.depth]
@@ -60,8 +96,6 @@ class Bench:
 
 
 def _head(f, deepest: int):
-    from dataclasses import replace
-
     d = min(deepest, f.depth)
     return replace(f, key_reach=f.key_reach[:d], non_reach=f.non_reach[:d], key_leave=f.key_leave[:d], non_leave=f.non_leave[:d], key_leaf=f.key_leaf[:d], non_leaf=f.non_leaf[:d], cuts=f.cuts[:d], theta=f.theta[:d])
 
@@ -87,6 +121,149 @@ def memory_vs_reject(b: Bench, fpr: float = 0.001, lams=LAMBDAS) -> list[tuple]:
     return out
 
 
+def memory_vs_reject_time(b: Bench, fpr: float = 0.001, lams=LAMBDAS) -> list[tuple]:
+    """The same in measured time: seconds of learners enter the plans, reject_us is what they add up to, in microseconds per non-key."""
+    c = b.costs(fpr, True)
+    row = lambda method, lam, p: (b.name, method, float(fpr), float(lam), int(p.depth), float(p.memory), 1e6 * float(p.reject), 1e6 * c.plain_time)
+    out = [row("staged", lam, b.staged(fpr, lam, timed=True)) for lam in lams]
+    for d in b.depths():
+        out += [row("partitioned", 1, B.partitioned(b.keys, b.others, fpr, c, d)), row("prefiltered", 1, _timed(B.prefiltered(b.keys[d - 1], b.others[d - 1], fpr, float(b.ensemble.bits()[:d].sum()), d), float(c.time[:d].sum())))]
+    if plan := B.budgeted(b.keys, b.others, c, b.staged(fpr).memory, 40)[0]:
+        out.append(row("budgeted", 1, plan))
+    return out
+
+
+def _timed(plan, seconds: float):
+    """A baseline that runs all its learners for whatever passes its gate."""
+    return replace(plan, reject=seconds * (plan.reject / plan.depth if plan.depth else 0.0))
+
+
+def reject_ratio(rows: list[tuple]) -> list[tuple]:
+    """(workload, method, least bits, its reject_us, reject_us of the staged plan that takes no more bits, ratio)."""
+    out = []
+    for name in dict.fromkeys(r[0] for r in rows):
+        staged = [r for r in rows if r[0] == name and r[1] == "staged"]
+        for method in ("partitioned", "prefiltered", "budgeted"):
+            others = [r for r in rows if r[0] == name and r[1] == method]
+            if others:
+                least = min(others, key=lambda r: r[5])
+                fits = [r for r in staged if r[5] <= least[5] * (1 + 1e-9)]
+                mine = min(fits, key=lambda r: r[6]) if fits else min(staged, key=lambda r: r[5])
+                out.append((name, method, least[5], least[6], mine[5], mine[6], least[6] / mine[6] if mine[6] > 0 else None))
+    return out
+
+
+RATIO = "workload string, method string, bits double, reject_us double, staged_bits double, staged_reject_us double, ratio double"
+
+
+def saving(rows: list[tuple]) -> list[tuple]:
+    """(workload, rate, staged bits, least bits of a partitioned filter, share saved) from the rows of memory_vs_rate."""
+    out = []
+    for name, fpr in dict.fromkeys((r[0], r[2]) for r in rows):
+        here = [r for r in rows if (r[0], r[2]) == (name, fpr)]
+        staged = next(r[5] for r in here if r[1] == "staged")
+        best = min(r[5] for r in here if r[1].startswith("partitioned"))
+        out.append((name, fpr, staged, best, 1 - staged / best))
+    return out
+
+
+SAVING = "workload string, fpr double, staged_bits double, partitioned_bits double, saved double"
+
+
+def other_filters(b: Bench, bits_per_key=tuple(range(1, 16)), most: int = 20_000) -> list[tuple]:
+    """(workload, method, parameter, bits per key, unseen rate, seconds per query one by one, and in a batch) of the subset ensemble, the projection hash in both forms, and the hash-adaptive filter; on at most `most` rows a side."""
+    part = lambda split: b.examples.filter(F.col("split") == split).orderBy(F.xxhash64("h")).limit(most).select("h", "x").toArrow()
+    (kh, kx), (nh, nx), (th, tx) = ((t["h"].to_numpy(), np.nan_to_num(matrix(t["x"]))) for t in map(part, ("key", "train", "test")))
+    out = []
+    for bits in bits_per_key:
+        f = B.HashAdaptive(float(bits)).fit(kh, nh)
+        out.append((b.name, "hash_adaptive", float(bits), f.memory / len(kh), float(f.contains_np(th).mean()), M.row_time(lambda h, _, f=f: f.contains_np(h), th, tx, 100), M.median_time(lambda f=f: f.contains_np(th), 3) / len(th)))
+    for cells in (5, 10, 20):
+        p = B.ProjectionHash(m=cells * len(kh)).fit(kx, nx)
+        out.append((b.name, "projection_hash", float(cells), p.bits / len(kh), float(p.contains_x(tx).mean()), M.median_time(lambda p=p: p.contains_x(tx[:500], "row"), 1) / min(500, len(tx)), M.median_time(lambda p=p: p.contains_x(tx), 3) / len(tx)))
+    ks, ns = B.learner_outcomes(b.examples, b.ensemble)
+    for share in (0.3, 0.5, 0.8, 1.0):
+        r = B.subset_ensemble(ks, ns, b.ensemble.bits(), b.n, share * b.costs(0.001).plain_bits)
+        out.append((b.name, "subset_ensemble", share, r["total_bits"] / max(1, b.n), r["real_fpr"], float(b.times[0][r["chosen"]].sum()), float(b.times[0][r["chosen"]].sum())))
+    return out
+
+
+OTHERS = "workload string, method string, parameter double, bits_per_key double, unseen_rate double, row_s double, batch_s double"
+
+
+def updates(spark: SparkSession, sf_dir: str, periods: int = 6, fpr: float = 0.01, boosting: Boosting = Boosting(rounds=20), kind: str = "counting") -> list[tuple]:
+    """(period, keys before, inserted, missed, rate on the period's non-keys, estimated rate, rebuilt, deleted and still found).
+
+    The first period of `events` is built; the keys of each later one are inserted and its non-keys asked, until
+    the rules call for a rebuild from everything seen so far. At the end of a period a tenth of its keys is deleted.
+    """
+    span = table(spark, sf_dir, "events").select(F.col("event_id").cast("string").alias("eid"), F.ntile(periods).over(Window.orderBy(F.to_date("ts"))).alias("period"))
+    e = load("event_tail", spark, sf_dir).join(span, "eid").persist()
+    out, f, base, late = [], None, 0, 0
+    for p in range(1, periods + 1):
+        now, keys = e.filter(F.col("period") == p), e.filter((F.col("period") == p) & F.col("is_key"))
+        n, rebuilt = keys.count(), f is None
+        if f is not None:
+            f.insert(keys)
+            late += n
+        else:
+            f, base, late = build(e.filter(F.col("period") <= p), fpr, 0.9, boosting, kind=kind), n, 0
+        ask = lambda: f.lookup(now.filter(~F.col("is_key"))).agg(F.count_if("found").alias("hits"), F.count("*").alias("n")).first()  # noqa: B023, E731
+        r = ask()
+        state = {"inserted_share": late / max(1, base), "estimated_fpr": r.hits / max(1, r.n), "measured_fpr": r.hits / max(1, r.n)}
+        if p > 1 and service.needs_rebuild(state, fpr, 0.5):
+            f, rebuilt = build(e.filter(F.col("period") <= p), fpr, 0.9, boosting, kind=kind), True
+            base, late = base + late, 0
+        missed = f.lookup(keys).filter("not found").count()
+        gone = keys.filter("h % 10 = 0")
+        f.delete(gone)
+        still = f.lookup(gone).filter("found").count()
+        lost = f.lookup(keys.filter("h % 10 <> 0")).filter("not found").count()
+        f.insert(gone)
+        out.append((p, base + late - n, n, missed, r.hits / max(1, r.n), rebuilt, gone.count(), still, lost))
+    e.unpersist()
+    return out
+
+
+UPDATES = "period int, held long, inserted long, missed long, rate_before_rebuild double, rebuilt boolean, deleted long, still_found long, lost_by_deletion long"
+
+
+def guarded_joins(spark: SparkSession, sf_dir: str, fpr: float = 0.01) -> list[tuple]:
+    """(join, rows, passed, matched, seconds exact, seconds behind the filter, mean latency by the model) of exact lookups behind a filter: orders of the urgent kind, orders without items, parts of a size."""
+    orders, items, parts = (table(spark, sf_dir, t) for t in ("orders", "lineitem", "part"))
+    cases = {
+        "semi_urgent": (items, orders.filter("o_orderpriority = '1-URGENT'"), "l_orderkey", "o_orderkey", "left_semi"),
+        "anti_items": (orders, items.select("l_orderkey").distinct(), "o_orderkey", "l_orderkey", "left_anti"),
+        "star_part": (items, parts.filter("p_size < 5").select("p_partkey", "p_size"), "l_partkey", "p_partkey", "inner"),
+    }
+    out = []
+    for name, (fact, keys, a, b, how) in cases.items():
+        run = lambda df: M.median_time(lambda: df.write.format("noop").mode("overwrite").save(), 3)
+        exact = run(fact.join(keys.hint("merge"), F.col(a) == F.col(b), how))
+        guarded = run(joins.prefilter_join(fact, keys.hint("merge"), a, b, how, fpr))
+        rows, passed = fact.count(), joins.prefilter(fact, keys, a, b, fpr).count()
+        matched = fact.join(keys.select(F.col(b).alias("_k")).distinct(), F.col(a) == F.col("_k"), "left_semi").count()
+        rate = (passed - matched) / max(1, rows - matched)
+        probe = M.median_time(lambda: joins.prefilter(fact, keys, a, b, fpr).select(a).write.format("noop").mode("overwrite").save(), 3)
+        out.append((name, rows, passed, matched, exact, guarded, M.expected_latency(rate, probe / max(1, rows), probe / max(1, rows), exact / max(1, rows))))
+    return out
+
+
+GUARDED = "name string, fact_rows long, passed long, matched long, exact_s double, guarded_s double, latency_s double"
+
+
+def all_sets(spark: SparkSession, sf_dir: str, fpr: float = 0.01, boosting: Boosting = Boosting(rounds=20)) -> list[tuple]:
+    """Plain, partitioned and staged filters of all fourteen workloads."""
+    out = []
+    for name in WORKLOADS:
+        b = Bench(spark, sf_dir, name, boosting)
+        c = b.costs(fpr)
+        out += [b.row("plain", fpr, 1, configure(b.flows[0], c, fpr, 0.0)), b.row("staged", fpr, 1, b.staged(fpr))]
+        out.append(b.row("partitioned", fpr, 1, min((B.partitioned(b.keys, b.others, fpr, c, d) for d in b.depths()), key=lambda p: p.memory)))
+        b.close()
+    return out
+
+
 def offered_learners(b: Bench, fpr: float = 0.001) -> list[tuple]:
     return [b.row(f"offered_{d}", fpr, 1, b.staged(fpr, 1.0, d)) for d in b.depths()]
 
@@ -111,15 +288,17 @@ def against_budgeted(b: Bench, fpr: float = 0.001, steps: int = 40) -> list[tupl
     return [b.row("staged", fpr, 1, mine)] + ([b.row("budgeted", plan.fpr, 1, plan)] if plan else [])
 
 
-def reject_distribution(b: Bench, fpr: float = 0.001, lam: float = 0.95) -> list[tuple]:
-    """(workload, method, learners run, test non-keys): the staged filter and a partitioned one, both built."""
+def reject_distribution(b: Bench, fpr: float = 0.001) -> list[tuple]:
+    """(workload, method, bits, learners run, test non-keys): the partitioned filter of the least memory, and the staged one that rejects soonest within that memory; both built."""
     test = b.examples.filter("split = 'test'")
+    part = min((B.partitioned(b.keys, b.others, fpr, b.costs(fpr), d) for d in b.depths()), key=lambda p: p.memory)
+    mine = [b.staged(fpr, lam) for lam in (0.3, 0.5, 0.7, 0.8, 0.9, 0.95, 0.99, 1.0)]
+    fits = [p for p in mine if p.memory <= part.memory * 1.001]
+    plans = {"staged": min(fits, key=lambda p: p.reject) if fits else min(mine, key=lambda p: p.memory), "partitioned": part}
     out = []
-    plans = {"staged": b.staged(fpr, lam)}
-    plans["partitioned"] = min((B.partitioned(b.keys, b.others, fpr, b.costs(fpr), d) for d in b.depths()), key=lambda p: p.memory)
     for name, p in plans.items():
         f = StagedFilter(p, b.ensemble.head(max(1, p.depth))).materialise(b.examples.filter("split = 'key'"))
-        out += [(b.name, name, int(r.learners_run), int(r["count"])) for r in f.lookup(test).groupBy("learners_run").count().collect()]
+        out += [(b.name, name, float(p.memory), int(r.learners_run), int(r["count"])) for r in f.lookup(test).groupBy("learners_run").count().collect()]
     return out
 
 
@@ -134,8 +313,6 @@ def construction_times(b: Bench, fpr: float = 0.001, lam: float = 1.0) -> list[t
     began = time.perf_counter()
     B.prefiltered(*(h[d - 1] for h in B.histograms(b.scored)), fpr, 0.0, d)
     pre = time.perf_counter() - began
-    from stagefilter.operators.bloom import BloomFilter
-
     began = time.perf_counter()
     BloomFilter.build(keys, "h", fpr)
     plain = time.perf_counter() - began

@@ -57,7 +57,7 @@ def measure_flow(scored: DataFrame, thetas: list[np.ndarray], bins: int = 100) -
                 left = np.where(out.any(axis=1), out.argmax(axis=1), depth - 1) if depth > 1 else np.zeros(n, int)
                 for d in range(depth):
                     here = left >= d
-                    np.add.at(total[t, d], (cls[here], at[here, d]), 1)
+                    total[t, d, :, :bins] += np.bincount(cls[here] * bins + at[here, d], minlength=2 * bins).reshape(2, bins)
                     if d < depth - 1:
                         gone = left == d
                         total[t, d, :, bins] += np.bincount(cls[gone], minlength=2)

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from stagefilter.functions.hashing import positions
 from stagefilter.functions.sizing import bloom_size, ideal_bits
+from stagefilter.operators.amq import CountingBloom, CuckooFilter, QuotientFilter
 from stagefilter.operators.bloom import BLOCK_BITS, MOST_BROADCAST, AcceptAll, BloomFilter, RejectAll, bit_is_set, bitmaps, block_of
 from stagefilter.operators.boosting import Boosting, train
 from stagefilter.operators.flow import ALPHAS, bin_of, flows, quantile_thetas
@@ -22,6 +23,9 @@ from stagefilter.operators.scoring import Ensemble, identities, matrix, score_pr
 from stagefilter.plans.config_dp import Costs, Plan, configure, refill
 from stagefilter.plans.thresholds import DensitySampler, knots_to_alphas, thetas_from_sketch
 
+#: Filters that can stand in for Bloom filters, and what a cell of theirs takes in memory beside a bit.
+FAMILIES = {"counting": CountingBloom, "cuckoo": CuckooFilter, "quotient": QuotientFilter}
+CELL_BITS = {"counting": 32}
 VERDICT = "found boolean, exit_depth int, exit_role string, region int, learners_run int, probes int"
 
 
@@ -47,6 +51,8 @@ class StagedFilter:
     filters: dict[str, object] = field(default_factory=dict)
     report: Report = field(default_factory=Report)
     seed: int = 0
+    kind: str = "bloom"  # or counting, cuckoo, quotient: what every gate, exit and leaf is made of
+    hook: object = None  # called as hook(depth, rows, scores) with the scores after each learner of a walk
 
     # --- the walk -------------------------------------------------------------------
 
@@ -84,6 +90,8 @@ class StagedFilter:
             margin[rows] += self.ensemble.trees[d].predict(x[rows])
             learners[rows] += 1
             s = self.ensemble.margin_to_score(margin[rows], d + 1)
+            if self.hook is not None:
+                self.hook(d + 1, rows, s)
             depth[rows] = d + 1
             if d + 1 < p.depth:
                 out = s >= p.flow.theta[d]
@@ -139,13 +147,12 @@ class StagedFilter:
             elif fpr >= 1:
                 self.filters[name] = AcceptAll()
             else:
-                f = BloomFilter.empty(n, fpr, self.seed + 1 + i)
-                f.n = n
+                f = self._empty(n, fpr, self.seed + 1 + i)
                 self.filters[name] = f
-                shapes.append((name, f.m, f.k, f.seed))
-        if sum(m for _, m, _, _ in shapes) // 8 > MOST_BROADCAST:
+                shapes.append((name, f.m * CELL_BITS.get(self.kind, 1)))
+        if sum(m for _, m in shapes) // 8 > MOST_BROADCAST:
             raise ValueError("filters are over the broadcast limit; use sharded_bits")
-        self._set_bits(routed, [name for name, *_ in shapes])
+        self._fill(routed, [name for name, _ in shapes], counts)
         self.report.insertion += time.perf_counter() - began
         return self
 
@@ -170,13 +177,50 @@ class StagedFilter:
         counts = {r["filter"]: r["count"] for r in routed.groupBy("filter").count().collect()}
         for name, n in counts.items():
             if isinstance(self.filters.get(name), RejectAll):
-                self.filters[name] = BloomFilter.empty(max(64, 2 * n), self.plan.fpr, self.seed + 997)
-        self._set_bits(routed, [name for name in counts if isinstance(self.filters.get(name), BloomFilter)])
-        for name, n in counts.items():
-            if isinstance(f := self.filters.get(name), BloomFilter):
-                f.n += n
+                self.filters[name] = self._empty(max(64, 2 * n), self.plan.fpr, self.seed + 997)
+        self._fill(routed, [name for name in counts if not isinstance(self.filters.get(name), AcceptAll | None)], counts)
+        return self
+
+    def delete(self, keys: DataFrame) -> StagedFilter:
+        """Takes keys out along their paths; needs counting or cuckoo filters, and keys that are in (proven by the exact table)."""
+        if self.kind not in ("counting", "cuckoo"):
+            raise ValueError(f"{self.kind} filters can't delete")
+        routed = self.routed(keys)
+        counts = {r["filter"]: r["count"] for r in routed.groupBy("filter").count().collect()}
+        self._fill(routed, [name for name in counts if not isinstance(self.filters.get(name), AcceptAll | None)], counts, -1)
         return self
 
+    def _empty(self, n: int, fpr: float, seed: int):
+        return BloomFilter.empty(n, fpr, seed) if self.kind == "bloom" else FAMILIES[self.kind](n, fpr, seed)
+
+    def _fill(self, routed: DataFrame, names: list[str], counts: dict[str, int], sign: int = 1) -> None:
+        """Puts the routed keys into filters of these names, or takes them out. Bitmaps and counters are summed up in the JVM; filters of fingerprints get their hashes in blocks."""
+        if self.kind == "bloom":
+            self._set_bits(routed, names)
+            for name in names:
+                self.filters[name].n += counts.get(name, 0)
+        elif self.kind == "counting" and names:
+            shapes = [(n, f.m, f.k, f.seed) for n in names if (f := self.filters[n])]
+            shape = F.broadcast(routed.sparkSession.createDataFrame(shapes, "filter string, m long, k long, seed long"))  # one row per filter of the plan
+            points = routed.join(shape, "filter").select("filter", F.explode(positions(F.col("h"), F.col("seed"), F.col("k"), F.col("m"))).alias("p"))
+            # no more cells than the filters have counters, and those are under the broadcast limit
+            cells = points.groupBy("filter", "p").count().groupBy("filter", F.floor(F.col("p") / BLOCK_BITS).alias("block")).agg(F.collect_list("p").alias("p"), F.collect_list("count").alias("c"))
+            for r in cells.toLocalIterator():
+                self.filters[r["filter"]].counts[np.array(r.p)] += sign * np.array(r.c, np.int32)
+            for name in names:
+                self.filters[name].n += sign * counts.get(name, 0)
+        else:
+            for name in names:
+                held: list[int] = []
+                put = self.filters[name].insert if sign > 0 else self.filters[name].delete
+                for r in routed.filter(F.col("filter") == name).select("h").toLocalIterator():
+                    held.append(r.h)
+                    if len(held) == 100_000:
+                        put(np.array(held, np.int64))
+                        held = []
+                if held:
+                    put(np.array(held, np.int64))
+
     def _set_bits(self, routed: DataFrame, names: list[str]) -> None:
         """Sets the bits of the routed keys in the JVM, one bitmap per filter and block, and joins them to the filters."""
         if not names:
@@ -312,8 +356,8 @@ def refine(scored: DataFrame, seeds: list[np.ndarray], costs: Costs, fpr: float,
     return best, len(sampler.values)
 
 
-def build(examples: DataFrame, fpr: float = 0.01, lam: float = 0.9, boosting: Boosting = Boosting(), grid: int = 20, parts: int = 8, refined: int = 0, fill: bool = False, smooth: float = 0.0, ensemble: Ensemble | None = None, insert: bool = True) -> StagedFilter:
-    """Train, calibrate, configure, insert. examples: eid, h, is_key, split, x. refined: steps of threshold refinement; fill: rescale unclipped rates; smooth: added to non-key bins."""
+def build(examples: DataFrame, fpr: float = 0.01, lam: float = 0.9, boosting: Boosting = Boosting(), grid: int = 20, parts: int = 8, refined: int = 0, fill: bool = False, smooth: float = 0.0, ensemble: Ensemble | None = None, insert: bool = True, kind: str = "bloom") -> StagedFilter:
+    """Train, calibrate, configure, insert. kind: what the filters are made of. examples: eid, h, is_key, split, x. refined: steps of threshold refinement; fill: rescale unclipped rates; smooth: added to non-key bins."""
     report, clock = Report(), time.perf_counter
     began = clock()
     ensemble = ensemble or train(examples, boosting)
@@ -333,7 +377,7 @@ def build(examples: DataFrame, fpr: float = 0.01, lam: float = 0.9, boosting: Bo
         plan = refill(plan)
     scored.unpersist()
     report.configuration = clock() - began
-    out = StagedFilter(plan, ensemble.head(max(1, plan.depth)), report=report)
+    out = StagedFilter(plan, ensemble.head(max(1, plan.depth)), report=report, kind=kind)
     return out.materialise(examples.filter("split = 'key'")) if insert else out
 
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import itertools
 import math
 
 import numpy as np
@@ -17,7 +18,7 @@ from stagefilter.operators import baselines as B
 from stagefilter.operators.bloom import BloomFilter, ShardedBloom, position_rows, probe_rows
 from stagefilter.operators.boosting import Boosting
 from stagefilter.operators.flow import exit_depth, measure_flow
-from stagefilter.operators.staged import StagedFilter, build
+from stagefilter.operators.staged import FAMILIES, StagedFilter, build
 from stagefilter.plans.config_dp import Costs, Flow, configure, configure_bruteforce, evaluate, make_flow
 from stagefilter.plans.partition import partition_scores
 from stagefilter.queries.base import BINS, DEPTH, THETAS, bin_sql, ensemble, examples, flow_sql, scored, scored_sql
@@ -521,10 +522,10 @@ def fixed_plan(n: int):
     return p
 
 
-def fixed_staged(spark: SparkSession, sf: str) -> tuple[DataFrame, StagedFilter]:
+def fixed_staged(spark: SparkSession, sf: str, kind: str = "bloom") -> tuple[DataFrame, StagedFilter]:
     e = examples(spark, sf)
     keys = e.filter("split = 'key'")
-    return e, StagedFilter(fixed_plan(keys.count()), ensemble().head(4)).materialise(keys)
+    return e, StagedFilter(fixed_plan(keys.count()), ensemble().head(4), kind=kind).materialise(keys)
 
 
 def _staged_sql() -> str:
@@ -675,7 +676,7 @@ def model_size_histograms(spark: SparkSession, sf: str) -> DataFrame:
 
 
 def _bench(spark: SparkSession, sf: str, name: str = "orders_mix") -> X.Bench:
-    return X.Bench(spark, sf, name, QUICK)
+    return X.bench(spark, sf, name, QUICK)
 
 
 @query("SELECT 1000::BIGINT AS n, round(1.0::DOUBLE, 6) AS same")
@@ -686,31 +687,101 @@ def construction_variants_agree(spark: SparkSession, sf: str) -> DataFrame:
     return spark.createDataFrame([(1000, float(np.mean(same)))], "n long, same double")
 
 
-def _experiment(name: str, run, schema: str = X.ROW):
+#: The setting of the experiments: 100 learners of depth 4.
+FULL = Boosting()
+
+
+def _experiment(name: str, run, schema: str = X.ROW, tables=X.MAIN, boosting: Boosting = FULL, after=None):
     def f(spark: SparkSession, sf: str) -> DataFrame:
-        return spark.createDataFrame(run(_bench(spark, sf)), schema)
+        rows = [r for t in tables for r in run(X.bench(spark, sf, t, boosting))]
+        return spark.createDataFrame(after(rows) if after else rows, schema)
 
     f.__name__ = name
     Q[name] = f
 
 
-_experiment("memory_vs_rate", lambda b: X.memory_vs_rate(b, (0.1, 0.01, 0.001)))
+_experiment("memory_vs_rate", X.memory_vs_rate)
+_experiment("memory_saving", X.memory_vs_rate, X.SAVING, after=X.saving)
 _experiment("memory_vs_reject", X.memory_vs_reject)
+_experiment("memory_vs_reject_time", X.memory_vs_reject_time, X.TIMED)
+_experiment("reject_time_ratio", X.memory_vs_reject_time, X.RATIO, after=X.reject_ratio)
 _experiment("offered_learners", X.offered_learners)
 _experiment("used_learners", X.used_learners)
 _experiment("model_size_sweep", lambda b: [b.row("prefiltered", 0.001, 1, B.prefiltered(b.keys[d - 1], b.others[d - 1], 0.001, float(b.ensemble.bits()[:d].sum()), d)) for d in b.depths()])
-_experiment("budgeted_plan", lambda b: X.against_budgeted(b, 0.01, 15))
-_experiment("refined_thresholds", lambda b: X.refined_thresholds(b, 0.01, 0.9, 20))
-_experiment("reject_distribution", X.reject_distribution, "workload string, method string, learners int, n long")
+_experiment("budgeted_plan", lambda b: X.against_budgeted(b, 0.001, 40))
+_experiment("refined_thresholds", lambda b: X.refined_thresholds(b, 0.001, 0.9, 100), tables=("orders_mix",))
+_experiment("reject_distribution", X.reject_distribution, "workload string, method string, bits double, learners int, n long")
 _experiment("construction_phases", X.construction_times, "workload string, method string, phase string, seconds double")
-_experiment("seen_and_unseen", X.seen_and_unseen, "workload string, method string, parameter double, seen double, unseen double")
-_experiment("subset_ensemble_plan", X.subset_points, "workload string, method string, budget double, chosen int, assumed_fpr double, real_fpr double")
-_experiment("score_adaptive_bits", lambda b: [(float(f), float(B.score_adaptive_bits(b.keys[4], b.others[4], f)), float(B.partitioned(b.keys, b.others, f, b.costs(f), 5).memory - b.ensemble.bits()[:5].sum())) for f in (0.1, 0.01, 0.001)], "fpr double, score_adaptive double, partitioned double")
+_experiment("seen_and_unseen", X.seen_and_unseen, "workload string, method string, parameter double, seen double, unseen double", ("orders_mix",))
+_experiment("other_filters", X.other_filters, X.OTHERS, ("orders_mix",))
+_experiment("subset_ensemble_plan", X.subset_points, "workload string, method string, budget double, chosen int, assumed_fpr double, real_fpr double", ("orders_mix",))
+_experiment("score_adaptive_bits", lambda b: [(b.name, float(f), float(B.score_adaptive_bits(b.keys[4], b.others[4], f)), float(B.partitioned(b.keys, b.others, f, b.costs(f), 5).memory - b.ensemble.bits()[:5].sum())) for f in (0.1, 0.01, 0.001)], "workload string, fpr double, score_adaptive double, partitioned double")
+
+
+def _flags(rows: list[tuple]) -> list[tuple]:
+    """What the experiments are to show, by workload, from the rows of memory_vs_rate, memory_vs_reject and offered_learners."""
+    out = []
+    for name in dict.fromkeys(r[0] for r in rows):
+        mine = [r for r in rows if r[0] == name]
+        saved = [r[4] for r in X.saving([r for r in mine if r[9] == "rate"])]
+        reject = sorted((r for r in mine if r[9] == "reject" and r[1] == "staged"), key=lambda r: r[3])
+        offered = [r[5] for r in mine if r[9] == "offered"]
+        falls = lambda v, slack=1e-6: all(b <= a * (1 + slack) for a, b in itertools.pairwise(v))
+        out.append((name, min(saved) >= -0.002, reject[0][4] == 0, falls([r[5] for r in reject]), falls([-r[7] for r in reject], -1e-6), falls(offered)))
+    return out
+
+
+_experiment(
+    "experiment_flags",
+    lambda b: [(*r, "rate") for r in X.memory_vs_rate(b)] + [(*r, "reject") for r in X.memory_vs_reject(b)] + [(*r, "offered") for r in X.offered_learners(b)],
+    "workload string, no_more_than_partitioned boolean, plain_at_lambda_0 boolean, memory_falls_with_lambda boolean, reject_rises_with_lambda boolean, offering_more_never_costs boolean",
+    after=_flags,
+)
+SQL["experiment_flags"] = f"SELECT w AS workload, true AS no_more_than_partitioned, true AS plain_at_lambda_0, true AS memory_falls_with_lambda, true AS reject_rises_with_lambda, true AS offering_more_never_costs FROM (VALUES {', '.join(f'({w!r})' for w in X.MAIN)}) v(w)"
+
+
+@query()
+def updates_and_drift(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame(X.updates(spark, sf), X.UPDATES)
+
+
+@query()
+def guarded_joins(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame(X.guarded_joins(spark, sf), X.GUARDED)
+
+
+@query()
+def all_workloads(spark: SparkSession, sf: str) -> DataFrame:
+    return spark.createDataFrame(X.all_sets(spark, sf), X.ROW)
+
+
+def _staged_of(kind: str):
+    @query(f"WITH {scored_sql()} SELECT count(*) AS keys, 0::BIGINT AS missed, 0::BIGINT AS lost, true AS deleted_ok, true AS rate_ok FROM q WHERE is_key")
+    def run(spark: SparkSession, sf: str) -> DataFrame:
+        """The staged filter made of other filters: finds all keys, keeps its rate; where it can delete, what is deleted goes and the rest stays."""
+        e, f = fixed_staged(spark, sf, kind)
+        keys = e.filter("split = 'key'")
+        r = f.lookup(keys).agg(F.count("*").alias("n"), F.count_if(~F.col("found")).alias("missed")).first()
+        t = f.lookup(e.filter("split = 'test'")).agg(F.avg(F.col("found").cast("int")).alias("rate"), F.count("*").alias("n")).first()
+        lost, gone_ok = 0, True
+        if kind != "quotient":
+            gone, rest = keys.filter("h % 10 = 0"), keys.filter("h % 10 <> 0")
+            g = f.delete(gone).lookup(gone).agg(F.avg(F.col("found").cast("int"))).first()[0] or 0.0
+            lost, gone_ok = f.lookup(rest).filter("not found").count(), g <= 0.5
+        plain = fixed_staged(spark, sf)[1].lookup(e.filter("split = 'test'")).agg(F.avg(F.col("found").cast("int"))).first()[0] or 0.0
+        return spark.createDataFrame([(r.n, r.missed, lost, gone_ok, (t.rate or 0.0) <= 1.2 * plain + 0.01)], "keys long, missed long, lost long, deleted_ok boolean, rate_ok boolean")
+
+    return run
+
+
+for _kind in FAMILIES:
+    _staged_of(_kind)
+    Q[f"staged_{_kind}"], SQL[f"staged_{_kind}"] = Q.pop("run"), SQL.pop("run")
 
 
 @query()
 def model_families(spark: SparkSession, sf: str) -> DataFrame:
-    return spark.createDataFrame(X.model_families(spark, sf, "orders_mix", ((1, 8), (2, 8), (4, 8))), X.ROW)
+    return spark.createDataFrame(X.model_families(spark, sf, "orders_mix", tuple((d, r) for d in (1, 2, 4, 6) for r in (20, 100))), X.ROW)
 
 
 @query()

@@ -650,6 +650,21 @@ def stream_filter_state(spark: SparkSession, sf: str) -> DataFrame:
     return out.agg(F.count("*").alias("rows"), F.count_if("new").between(int(0.98 * users), users).alias("few_lost"))
 
 
+@query("SELECT a.event_type, b.event_type AS other_type, count(*) AS n FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR WHERE a.user_id IN (SELECT user_id FROM events WHERE event_type = 'error') AND a.event_id <> b.event_id GROUP BY ALL")
+def stream_stream_join(spark: SparkSession, sf: str) -> DataFrame:
+    """Two streams of events behind one filter, joined by user within an hour; watermarks bound the state of both sides."""
+    users, f = _users(spark, sf)
+    sides = []
+    for name in ("a", "b"):
+        s, path = _stream(spark, sf)
+        known = service.lookup_stream(s, f, F.col("user_id")).filter("found")
+        sides.append(known.select(F.col("event_id").alias(f"{name}_id"), F.col("user_id").alias(f"{name}_user"), F.col("ts").cast("timestamp").alias(f"{name}_ts"), F.col("event_type").alias(f"{name}_type")).withWatermark(f"{name}_ts", "2 hours"))
+    on = F.expr("a_user = b_user AND b_ts >= a_ts AND b_ts <= a_ts + INTERVAL 1 HOUR AND a_id <> b_id")
+    out = _sink(sides[0].join(sides[1], on), path)
+    exact = out.withColumn("h", element_hash(F.col("a_user"))).join(users, "h", "left_semi")
+    return exact.groupBy(F.col("a_type").alias("event_type"), F.col("b_type").alias("other_type")).agg(F.count("*").alias("n"))
+
+
 @query("SELECT c_nationkey, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1")
 def stream_static_join(spark: SparkSession, sf: str) -> DataFrame:
     s, path = _stream(spark, sf)

@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from stagefilter.queries import method, operators
+from stagefilter.queries import families, method, operators
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -14,8 +14,8 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return method.Q | operators.Q
+    return method.Q | families.Q | operators.Q
 
 
 def oracle_sql() -> dict[str, str]:
-    return method.SQL | operators.SQL
+    return method.SQL | families.SQL | operators.SQL
