@@ -16,12 +16,12 @@ per bundle at most, however many documents hold it.
    128 bits)? In all others all its strings go. A string reaches far to one side at least;
    does any other context agree with this one on that side? If not, none shares a string.
 3. The contexts that may share strings with others, each once, from its least document, are
-   dealt by the side they agree on. A task builds, block by block, the Burrows-Wheeler
+   cut to what reaches far to the side they agree on, and dealt by that side. A task builds, block by block, the Burrows-Wheeler
    transform and common-prefix lengths of its distinct contexts column by column: each round
    inserts one symbol of every context, reading the round before from one sequential file
    and writing the next. Suffixes whose neighbours share `length` bytes form runs; a
-   run's least document is the first holder of its string. A side that more contexts than a
-   block share is taken apart instead: each of its strings is grouped by itself.
+   run's least document is the first holder of its string. A side that a crowd
+   of contexts share is taken apart instead: each of its strings is grouped by itself.
 4. Each bundle joins the covered ranges of its texts and hashes what is left.
 
 Documents are UTF-8 bytes and strings never cross documents; judging uses the input only.
@@ -44,18 +44,19 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stagefilter.llm.common import cut
+from stagefilter.llm.common import cut, release_finished_shuffles, written
 
 BASE = 0x100000001B3
 
 
 @dataclass(frozen=True)
 class Substrings:
-    """length: bytes of a string; gram: bytes of a minimizer; block: contexts indexed together; chunk: bytes of text hashed at once; bundle: bytes of texts that go together; bucket: hashes that meet in one bucket, about."""
+    """length: bytes of a string; gram: bytes of a minimizer; block: contexts indexed together; crowd: contexts that share a side and are still indexed together; chunk: bytes of text hashed at once; bundle: bytes of texts that go together; bucket: hashes that meet in one bucket, about."""
 
     length: int = 50
     gram: int = 20
-    block: int = 40_000
+    block: int = 16_000
+    crowd: int = 40_000
     chunk: int = 1 << 20
     bundle: int = 2 << 20
     bucket: int = 1_000_000
@@ -264,9 +265,10 @@ class Shared:
             low, high = np.full(len(keys), 2**32 - 1, np.uint32), np.zeros(len(keys), np.uint32)
             np.minimum.at(low, which, brief[rows])
             np.maximum.at(high, which, brief[rows])
-            n = np.bincount(which, minlength=len(keys)).astype(np.uint32)
+            n = np.minimum(np.bincount(which, minlength=len(keys)), 65535).astype(np.uint16)
             for bucket, at in dealt(keys >> np.uint64(64 - self.bits) if self.bits else np.zeros(len(keys), np.uint64)):
-                yield kind, bucket, _sized(keys[at], low[at], high[at], n[at])
+                # 32 bits and the bucket: sides taken for one by mistake only cost work
+                yield kind, bucket, _sized(keys[at].astype(np.uint32), low[at], high[at], n[at])
 
     def take_second(self, replies: list) -> None:
         """low: least document of each entry's context; open: by side, 0 nobody else agrees, 1 some do, 2 more than a block."""
@@ -286,11 +288,13 @@ class Shared:
             out[rows] = said[which]
             self.open.append(out)
 
-    def context(self, entry: int) -> tuple[int, bytes]:
-        """Start and bytes of an entry's context."""
-        i = self.one[entry]
-        a = int(self.p[i] - self.before[i])
-        return a, self.b.text[a : int(self.p[i] + self.after[i])]
+    def context(self, entry: int, kind: int = 0) -> tuple[int, bytes]:
+        """An entry's context, for kind 1 or 2 the part that its strings reaching far to that side take; and how much later it starts."""
+        i, cfg = self.one[entry], self.cfg
+        p, before, after = int(self.p[i]), int(self.before[i]), int(self.after[i])
+        start = min(before, cfg.left - cfg.half) if kind == 2 else before
+        end = min(after, cfg.gram + cfg.left - cfg.half + cfg.left % 2) if kind == 1 else after
+        return before - start, self.b.text[p - start : p + end]
 
 
 def dealt(buckets: np.ndarray) -> Iterator[tuple[int, slice]]:
@@ -383,7 +387,7 @@ def _answer_first(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 def _answer_second(cfg: Substrings):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for kind, bucket, chunks, payloads in _buckets(batches):
-            parts = [_columns(p, np.uint64, np.uint64, np.int64) if kind == 0 else _columns(p, np.uint64, np.uint32, np.uint32, np.uint32) for p in payloads]
+            parts = [_columns(p, np.uint64, np.uint64, np.int64) if kind == 0 else _columns(p, np.uint32, np.uint32, np.uint32, np.uint16) for p in payloads]
             columns = [np.concatenate(x) for x in zip(*parts, strict=True)]
             if kind == 0:
                 h, c, doc = columns
@@ -397,7 +401,7 @@ def _answer_second(cfg: Substrings):
                 least, most = np.full(len(every), 2**32 - 1, np.uint32), np.zeros(len(every), np.uint32)
                 np.minimum.at(least, which, low)
                 np.maximum.at(most, which, high)
-                many = np.bincount(which, n, len(every)) > cfg.block
+                many = np.bincount(which, n, len(every)) > cfg.crowd
                 said = ((least != most) * (1 + many)).astype(np.uint8)[which]
             cuts = np.cumsum([len(p[0]) for p in parts])[:-1]
             yield _rows([(kind, bucket, k, x.tobytes()) for k, x in zip(chunks, np.split(said, cuts), strict=True)], ASKED)
@@ -422,30 +426,44 @@ class ColumnIndex:
             raise ValueError("too many symbols")  # UTF-8 text never has so many
         for i, s in enumerate(strings):
             padded[i, : len(s)] = code[np.frombuffer(s, np.uint8)[::-1]]
-        self.files = [os.path.join(folder, f"{kind}{side}") for kind in ("transform", "prefix") for side in (0, 1)]
-        padded[:, 0].tofile(self.files[0])
-        np.zeros(m, np.uint8).tofile(self.files[2])
+        self.files = [open(os.path.join(folder, f"{kind}{side}"), "w+b", buffering=0) for kind in ("transform", "prefix") for side in (0, 1)]  # noqa: SIM115
+        self._write(0, np.ascontiguousarray(padded[:, 0]), np.zeros(m, np.uint8))
         at = np.arange(m)  # places of the suffixes inserted last, by string
         live = np.arange(m)
         for j in range(1, longest + 1):
             old, new = (j - 1) % 2, j % 2
             live = live[self.lengths[live] >= j]
-            transform = np.fromfile(self.files[old], np.uint8)
-            prefix = np.fromfile(self.files[2 + old], np.uint8)
+            transform, prefix = self._read(old)
             place, order, ended = self._step(transform)
             fresh = place[at[live]]
             grown, common = self._insert(transform, prefix, fresh, order, ended, padded[live, j])
-            grown.tofile(self.files[new])
-            common.tofile(self.files[2 + new])
+            self._write(new, grown, common)
             at[live] = fresh
         self.side = longest % 2
 
+    def _write(self, side: int, transform: np.ndarray, prefix: np.ndarray) -> None:
+        self.size = len(transform)
+        for f, x in ((self.files[side], transform), (self.files[2 + side], prefix)):
+            f.seek(0)
+            f.write(memoryview(x))
+
+    def _read(self, side: int) -> tuple[np.ndarray, np.ndarray]:
+        out = []
+        for f in (self.files[side], self.files[2 + side]):
+            f.seek(0)
+            out.append(np.frombuffer(f.read(self.size), np.uint8))
+        return out[0], out[1]
+
+    def close(self) -> None:
+        for f in self.files:
+            f.close()
+
     def _step(self, transform: np.ndarray) -> tuple[np.ndarray, np.ndarray, int]:
         """Where the suffix longer by one symbol stands (after the m empty suffixes), for every suffix; those whose symbol is 0 have none."""
         order = np.argsort(transform, kind="stable")
         ended = int((transform == 0).sum())
-        place = np.full(len(transform), -1, np.int64)
-        place[order[ended:]] = np.arange(self.m, self.m + len(order) - ended)
+        place = np.full(len(transform), -1, np.int32)
+        place[order[ended:]] = np.arange(self.m, self.m + len(order) - ended, dtype=np.int32)
         return place, order, ended
 
     def _insert(self, transform, prefix, fresh, order, ended, symbols) -> tuple[np.ndarray, np.ndarray]:
@@ -455,6 +473,7 @@ class ColumnIndex:
         grown, common = np.empty(n, np.uint8), np.empty(n, np.uint8)
         grown[~is_new], common[~is_new] = transform, prefix
         grown[fresh] = symbols
+        values = np.append(prefix, np.uint8(0))
         # common prefix of neighbours p - 1 and p for each new p and each p after a new one
         for p in (fresh, fresh[fresh + 1 < n] + 1):
             common[p] = 0
@@ -468,14 +487,13 @@ class ColumnIndex:
                 o = np.argsort(-x)
                 p, x, y = p[o], x[o], y[o]
                 ends = np.stack([y + 1, x + 1], axis=1).ravel()
-                values = np.append(prefix, 0)
                 common[p] = np.minimum.reduceat(values, ends)[::2] + 1
         return grown, common
 
     def runs(self, least: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray]]:
         """For each suffix length from `least` on: string numbers, starts in the string, numbers of the run of suffixes that share `least` symbols."""
-        transform = np.fromfile(self.files[self.side], np.uint8)
-        run = np.cumsum(np.fromfile(self.files[2 + self.side], np.uint8) < least)
+        transform, prefix = self._read(self.side)
+        run = np.cumsum(prefix < least)
         place, _, _ = self._step(transform)
         at, live = np.arange(self.m), np.arange(self.m)
         for j in range(1, int(self.lengths.max(initial=0)) + 1):
@@ -488,7 +506,9 @@ class ColumnIndex:
 def first_holders(strings: list[bytes], first: np.ndarray, least: int) -> list[np.ndarray]:
     """For each string and each start of a `least`-byte piece in it: the least `first` of the strings that hold the piece."""
     with tempfile.TemporaryDirectory(prefix="columns-") as folder:
-        parts = list(ColumnIndex(strings, folder).runs(least))
+        index = ColumnIndex(strings, folder)
+        parts = list(index.runs(least))
+        index.close()
     out = [np.empty(max(0, len(s) - least + 1), np.int64) for s in strings]
     if not parts:
         return out
@@ -508,7 +528,7 @@ MASKS = "chunk long, ref long, mask long"
 
 
 def _open_contexts(cfg: Substrings, bits: int):
-    """Contexts that may share strings with others, from their least document: whole (at -1), or string by string where a side has more than a block of them."""
+    """Contexts that may share strings with others, from their least document: what a side takes of them (at -1 less what it starts later), or string by string where a side has more than a block of them."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from xxhash import xxh64_intdigest
@@ -525,9 +545,9 @@ def _open_contexts(cfg: Substrings, bits: int):
             for kind in (1, 2):
                 side = _as_signed(s.sides[kind - 1][0])
                 for e in np.flatnonzero(mine & (s.open[kind - 1] == 1)):
-                    context = s.context(e)[1]
+                    later, context = s.context(e, kind)
                     if len(context) >= cfg.length:
-                        rows.append((int(side[e]), chunk, int(e), -1, int(s.first[e]), context))
+                        rows.append((int(side[e]), chunk, int(e), -1 - later, int(s.first[e]), context))
             for a in range(0, len(rows), 50_000):
                 yield _rows(rows[a : a + 50_000], OPEN)
 
@@ -547,7 +567,7 @@ def _index(cfg: Substrings):
         table = np.full((len(numbers), cfg.left + 1), np.iinfo(np.int64).max)
         for i, x in enumerate(first_holders(list(numbers), first, cfg.length)):
             table[i, : len(x)] = x
-        mask = ((table[which] < doc[:, None]).astype(np.int64) << np.arange(cfg.left + 1)).sum(axis=1)
+        mask = ((table[which] < doc[:, None]).astype(np.int64) << np.arange(cfg.left + 1)).sum(axis=1) << (-1 - t["at"].to_numpy())
         keep = mask != 0
         return pa.RecordBatch.from_arrays([pa.array(x[keep]) for x in (t["chunk"].to_numpy(), t["ref"].to_numpy(), mask)], names=["chunk", "ref", "mask"])
 
@@ -626,10 +646,13 @@ def substring_dedup(docs: DataFrame, cfg: Substrings = Substrings()) -> DataFram
     meet = lambda asked: asked.repartition("kind", "bucket").sortWithinPartitions("kind", "bucket")
     answers = lambda said, name: cut(said.groupBy("chunk").agg(F.collect_list(F.struct("kind", "bucket", "payload")).alias(name)))
     first = answers(meet(asks.mapInArrow(_ask_first(cfg, bits), ASKED)).mapInArrow(_answer_first, ASKED), "first")
+    release_finished_shuffles(docs.sparkSession)
     told = asks.join(first, "chunk", "left")
     second = answers(meet(told.mapInArrow(_ask_second(cfg, bits), ASKED)).mapInArrow(_answer_second(cfg), ASKED), "second")
+    release_finished_shuffles(docs.sparkSession)
     both = first.join(second, "chunk", "left")
-    found = cut(asks.join(both, "chunk", "left").mapInArrow(_open_contexts(cfg, bits), OPEN))
+    found = written(asks.join(both, "chunk", "left").mapInArrow(_open_contexts(cfg, bits), OPEN), "contexts")
+    release_finished_shuffles(docs.sparkSession)
     indexed = found.filter("at < 0").repartition("side").sortWithinPartitions("side").mapInArrow(_index(cfg), MASKS)
     # sides that too many contexts share: each string by itself, its least document worked out before it is shuffled
     pieces = found.filter("at >= 0")
@@ -637,4 +660,5 @@ def substring_dedup(docs: DataFrame, cfg: Substrings = Substrings()) -> DataFram
     single = pieces.join(least, ["side", "context"]).filter("low < doc").select("chunk", "ref", F.expr("shiftleft(1L, cast(at as int))").alias("mask"))
     masks = indexed.union(single).groupBy("chunk", "ref").agg(F.bit_or("mask").alias("mask"))
     masks = cut(masks.groupBy("chunk").agg(F.collect_list(F.struct("ref", "mask")).alias("masks")))
+    release_finished_shuffles(docs.sparkSession)
     return asks.join(both.join(masks, "chunk", "left"), "chunk", "left").mapInArrow(_apply(cfg, bits), RESULT)

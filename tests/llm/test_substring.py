@@ -76,7 +76,7 @@ def test_crowded_sides_and_shared_passages(spark):
         texts.append((i, " ".join([*lead[: rng.randrange(1, 8)], phrase[: rng.randrange(45, len(phrase))], *tail, other[rng.randrange(0, 12) :], *lead])))
     df = spark.createDataFrame(texts, "doc_id long, text string").repartition(3)
     for block in (1, 4, 40_000):
-        check(df, Substrings(block=block, bundle=2_000, bucket=200))
+        check(df, Substrings(block=block, crowd=block, bundle=2_000, bucket=200))
 
 
 def test_long_texts_repeated_ids_and_clashing_columns(spark):
