@@ -173,7 +173,8 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = 5, cfg: CollisionIn
     of = lambda c: F.pmod(F.xxhash64(F.lit(cfg.seed), c), F.lit(shards)).cast("int")
     dealt = data.select(F.size("v").alias("dim"), of(F.struct("vec_id", "v")).alias("shard"), F.lit(0).alias("asks"), "vec_id", "v")
     sent = asked.select(F.size("v").alias("dim"), F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), F.lit(1).alias("asks"), "vec_id", "v")
-    rows = dealt.unionByName(sent).repartition(shards, "dim", "shard").sortWithinPartitions("dim", "shard", "asks")
+    # by range, so that two shards never meet in one task while another task has none
+    rows = dealt.unionByName(sent).repartitionByRange(shards, "shard", "dim").sortWithinPartitions("dim", "shard", "asks")
     found = rows.mapInArrow(_searcher(cfg, k), "query_id long, vec_id long, score double")
     order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
     return found.withColumn("rank", F.row_number().over(order)).filter(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
