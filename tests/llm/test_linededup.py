@@ -1,6 +1,5 @@
 import random
 import re
-from collections import Counter
 
 from pyspark.sql import functions as F
 
@@ -192,14 +191,41 @@ def test_registered_query_removes_a_long_line_with_one_word_replaced(spark, tmp_
     assert {r.doc_id: r.removed for r in op10_line_dedup(spark, str(tmp_path)).collect()} == {1: False, 2: True}
 
 
+def growing_pairs(lines):
+    """All linked pairs of distinct lines by the definition; pairs whose symbols differ too much are passed over."""
+    most, known = GROWING.most, []
+    for x in lines:
+        w = x.split(" ")
+        known.append((x, len(x), set(x), len(w), set(w)))
+    out = set()
+    for i, (a, n, chars, m, words) in enumerate(known):
+        for b, k, other, o, more in known[i + 1 :]:
+            near = max(m, o) < GROWING.long + most and abs(n - k) <= most and len(chars ^ other) <= 2 * most
+            near = near or min(m, o) >= GROWING.long and abs(m - o) <= most and len(words ^ more) <= 2 * most
+            if near and linked(a, b, GROWING):
+                out.add(frozenset((a, b)))
+    return out
+
+
+def plain_removed_growing(texts):
+    """(doc, line number) of removed lines by the definition of GROWING."""
+    rows = [(d, i, x) for d, t in sorted(texts.items()) for i, x in enumerate((t or "").split("\n")) if re.search(r"[^\x20\x09-\x0D]", x)]
+    distinct = sorted({x for _, _, x in rows})
+    of = {x: c for c in classes(distinct, growing_pairs([x for x in distinct if len(x) >= GROWING.least])) for x in c}
+    seen, out = set(), set()
+    for d, i, x in rows:
+        c = of.get(x, x)
+        if c in seen:
+            out.add((d, i))
+        seen.add(c)
+    return out
+
+
 def test_growing_threshold_on_documents(spark):
     """All pairs of distinct lines by the definition."""
     docs = spark.read.parquet("/root/testdata/sf0.001/documents.parquet")
     lines = sorted({x for r in docs.select("text").collect() for x in (r.text or "").split("\n") if GROWING.least <= len(x) <= 1500}, key=len)
-    count = {x: Counter(x) for x in lines}
-    split = {x: Counter(x.split(" ")) for x in lines}
-    far = lambda c, a, b: max((c[a] - c[b]).total(), (c[b] - c[a]).total()) > GROWING.most
-    want = {frozenset((a, b)) for i, a in enumerate(lines) for b in lines[i + 1 :] if not (far(count, a, b) and far(split, a, b)) and linked(a, b, GROWING)}
+    want = growing_pairs(lines)
     df = spark.createDataFrame([(x,) for x in lines], "line string")
     of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
     got = {frozenset((of[r.a], of[r.b])) for r in line_links(df, GROWING).collect()}
