@@ -10,6 +10,7 @@ TABLES = "region nation customer supplier part orders lineitem events documents
 SOME = (
     "examples_physics", "bloom_lookup_sql", "bloom_sharded_probe", "flow_shares", "flow_with_gates", "kl_best_split_k3", "lambda_frontier", "dp_equals_bruteforce", "staged_verdicts",
     "prefilter_anti_join", "asof_filter_version", "verdict_cube", "stream_lookup_batch", "windowed_fpr_sliding", "udtf_filter_path", "null_policy",
+    "staged_null_identity", "boost_round_one", "dp_value_chain", "projection_fpr", "staged_counting",
 )
 
 
