@@ -11,6 +11,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from stagefilter import measures as M
+from stagefilter.functions.hashing import smallest
 from stagefilter.operators import baselines as B
 from stagefilter.operators import joins
 from stagefilter.operators.bloom import BloomFilter
@@ -172,7 +173,7 @@ SAVING = "workload string, fpr double, staged_bits double, partitioned_bits doub
 
 def other_filters(b: Bench, bits_per_key=tuple(range(1, 16)), most: int = 20_000) -> list[tuple]:
     """(workload, method, parameter, bits per key, unseen rate, seconds per query one by one, and in a batch) of the subset ensemble, the projection hash in both forms, and the hash-adaptive filter; on at most `most` rows a side."""
-    part = lambda split: b.examples.filter(F.col("split") == split).orderBy(F.xxhash64("h")).limit(most).select("h", "x").toArrow()
+    part = lambda split: smallest(b.examples.filter(F.col("split") == split), most).select("h", "x").toArrow()
     (kh, kx), (nh, nx), (th, tx) = ((t["h"].to_numpy(), np.nan_to_num(matrix(t["x"]))) for t in map(part, ("key", "train", "test")))
     out = []
     for bits in bits_per_key:
@@ -329,7 +330,7 @@ def seen_and_unseen(b: Bench, bits_per_key=(1, 5, 10, 15)) -> list[tuple]:
     """(workload, method, parameter, seen rate, unseen rate) of the filters that learn from known non-keys; on a bounded sample of 20,000 rows a side."""
 
     def part(split: str, n: int = 20_000):
-        t = b.examples.filter(F.col("split") == split).orderBy(F.xxhash64("h")).limit(n).select("h", "x").toArrow()
+        t = smallest(b.examples.filter(F.col("split") == split), n).select("h", "x").toArrow()
         return t["h"].to_numpy(), matrix(t["x"].combine_chunks())
 
     (kh, kx), (nh, nx), (th, tx) = part("key"), part("train"), part("test")

@@ -8,7 +8,7 @@ seeds behave as independent hash families, and nothing exceeds 63 bits on the wa
 from __future__ import annotations
 
 import numpy as np
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 PRIME = 2147483647
@@ -39,6 +39,14 @@ def _mix_col(h: Column, seed: Column, m) -> Column:
     return (F.shiftright(h, 30) * ((m[0] + seed * m[2]) % PRIME) + h.bitwiseAND(HALF - 1) * ((m[1] + seed * (m[2] + SECOND)) % PRIME)) % PRIME
 
 
+def smallest(rows: DataFrame, n: int) -> DataFrame:
+    """The n rows of the smallest hash of h. They are counted first, so that tasks offer few more than n in all, however many tasks there are."""
+    by, share = F.xxhash64("h"), (1.1 * n + 1000) / max(1, rows.count())
+    if share < 1:
+        rows = rows.filter(by <= F.lit(int(-(2**63) + share * 2**64)))
+    return rows.orderBy(by).limit(n)
+
+
 def positions(h: Column, seed: Column | int, k: Column | int, m: Column | int) -> Column:
     """Array of k positions below m. All of seed, k and m may be columns."""
     seed, k, m = (F.lit(x).cast("bigint") if isinstance(x, int) else x.cast("bigint") for x in (seed, k, m))

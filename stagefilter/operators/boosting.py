@@ -15,7 +15,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stagefilter.functions.hashing import smallest
 from stagefilter.operators.scoring import Ensemble, Tree, matrix
+from stagefilter.sources.scratch import scratch
 
 
 @dataclass(frozen=True)
@@ -88,15 +90,36 @@ class LocalData:
 
 
 class SparkData:
-    """Rows (x, is_key) of a table. Margins follow from the trees so far, so nothing is kept between passes."""
+    """Rows (x, is_key) of a table as 8-bit bins with their margin, kept as a table in the shared folder.
 
-    def __init__(self, df: DataFrame, cfg: Boosting):
-        self.cfg, self.trees, self.base = cfg, [], 0.0
+    A pass adds the trees grown since that table was written, and it is written anew every
+    `fold` trees, so the work of a pass does not grow with the rounds.
+    """
+
+    def __init__(self, df: DataFrame, cfg: Boosting, fold: int = 8):
+        self.cfg, self.trees, self.base, self.fold = cfg, [], 0.0, fold
         names = len(df.select("x").first().x)
         probs = [float(q) for q in np.linspace(0, 1, cfg.bins + 1)[1:-1]]
         found = df.agg(*[F.percentile_approx(F.get("x", F.lit(j)).cast("double"), probs, 2000).alias(f"c{j}") for j in range(names)]).first()
         self.edges = [np.unique(np.array(c if c is not None else [], float)) for c in found]
-        self.df = df.select("x", F.col("is_key").cast("double").alias("y"))
+        rows, edges = df.select("x", F.col("is_key").cast("double").alias("y")), self.edges
+
+        def binned(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                b = to_bins(matrix(batch.column(0), len(edges)), edges)
+                yield pa.RecordBatch.from_arrays([pa.array([r.tobytes() for r in b], pa.binary()), batch.column(1), pa.array(np.zeros(len(b)))], names=["b", "y", "margin"])
+
+        self.df = self._kept(rows.mapInArrow(binned, "b binary, y double, margin double"))
+
+    @staticmethod
+    def _kept(df: DataFrame) -> DataFrame:
+        path = scratch(df.sparkSession, "margins")
+        df.write.parquet(path)
+        return df.sparkSession.read.parquet(path)
+
+    @staticmethod
+    def _rows(batch: pa.RecordBatch, width: int) -> np.ndarray:
+        return np.frombuffer(b"".join(batch.column("b").to_pylist()), np.uint8).reshape(batch.num_rows, width)
 
     def class_share(self) -> float:
         return float(self.df.agg(F.avg("y")).first()[0] or 0.5)
@@ -112,10 +135,10 @@ class SparkData:
             for batch in batches:
                 if not batch.num_rows:
                     continue
-                b, y = to_bins(matrix(batch.column(0)), edges), batch.column(1).to_numpy()
-                margin = np.full(len(y), base)
+                b, y = SparkData._rows(batch, len(edges)), batch.column("y").to_numpy()
+                margin = base + batch.column("margin").to_numpy()
                 for t in trees:
-                    margin += t.predict(b.astype(float))
+                    margin = margin + t.predict(b.astype(float))
                 p = 1 / (1 + np.exp(-margin))
                 part = node_histograms(b, _descend(tree, b, edges, level), p - y, np.maximum(p * (1 - p), 1e-12), 2**level, cfg.bins)
                 total = part if total is None else total + part
@@ -130,6 +153,18 @@ class SparkData:
 
     def add(self, tree: Tree) -> None:
         self.trees.append(tree)
+        if len(self.trees) < self.fold:
+            return
+        trees, width = list(self.trees), len(self.edges)
+
+        def grown(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for batch in batches:
+                x, margin = SparkData._rows(batch, width).astype(float), batch.column("margin").to_numpy().copy()
+                for t in trees:
+                    margin += t.predict(x)
+                yield pa.RecordBatch.from_arrays([batch.column("b"), batch.column("y"), pa.array(margin)], names=["b", "y", "margin"])
+
+        self.df, self.trees = self._kept(self.df.mapInArrow(grown, "b binary, y double, margin double")), []
 
 
 def best_splits(hist: np.ndarray, reg: float) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -177,6 +212,6 @@ def train(df: DataFrame, cfg: Boosting = Boosting(), distributed: bool = False)
     rows = df.filter(F.col("split").isin("key", "train")).select("h", "x", "is_key")
     if distributed:
         return boost(SparkData(rows, cfg), cfg)
-    part = rows.orderBy(F.xxhash64("h")).limit(cfg.sample).toArrow()
+    part = smallest(rows, cfg.sample).toArrow()
     x = matrix(part["x"].combine_chunks()) if part.num_rows else np.zeros((0, 1))
     return boost(LocalData(x, part["is_key"].to_numpy().astype(float), cfg), cfg)

@@ -8,6 +8,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from stagefilter.functions.hashing import smallest
 from stagefilter.operators.scoring import INNER_BITS, Ensemble, Tree, matrix
 
 # --- stumps -----------------------------------------------------------------------------
@@ -112,7 +113,7 @@ def grow_modules(x: np.ndarray, y: np.ndarray, rounds: int = 20, units: int = 0,
 
 def train_modules(examples: DataFrame, rounds: int = 20, units: int = 0, sample: int = 60_000, seed: int = 1) -> Ensemble:
     """Modules fitted on at most `sample` rows of the splits key and train, those of the smallest hash."""
-    rows = examples.filter(F.col("split").isin("key", "train")).select("h", "x", "is_key").orderBy(F.xxhash64("h")).limit(sample).toArrow()
+    rows = smallest(examples.filter(F.col("split").isin("key", "train")).select("h", "x", "is_key"), sample).toArrow()
     return grow_modules(matrix(rows["x"]), rows["is_key"].to_numpy().astype(float), rounds, units, seed=seed)
 
 

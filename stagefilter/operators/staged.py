@@ -13,7 +13,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stagefilter.functions.hashing import positions
+from stagefilter.functions.hashing import positions, smallest
 from stagefilter.functions.sizing import bloom_size, ideal_bits
 from stagefilter.operators.amq import CountingBloom, CuckooFilter, QuotientFilter
 from stagefilter.operators.bloom import BLOCK_BITS, MOST_BROADCAST, AcceptAll, BloomFilter, RejectAll, bit_is_set, bitmaps, block_of
@@ -344,7 +344,7 @@ def refine(scored: DataFrame, seeds: list[np.ndarray], costs: Costs, fpr: float,
     sampler = DensitySampler([-4.5] * knots, [-0.3] * knots, seed)
     for a, p in zip(ALPHAS, plans, strict=False):
         sampler.tell([math.log10(max(a, 10**-4.5))] * knots, p.objective)
-    rows = scored.filter("split = 'calib'").orderBy(F.xxhash64("h")).limit(sample).select("s").toArrow()
+    rows = smallest(scored.filter("split = 'calib'"), sample).select("s").toArrow()
     table = np.sort(matrix(rows["s"].combine_chunks()), axis=0)
     for _ in range(0, steps, block):
         points = [sampler.ask() for _ in range(block)]
