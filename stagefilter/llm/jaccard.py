@@ -43,7 +43,7 @@ from pyspark.sql import functions as F
 from stagefilter.llm.common import cut, release_finished_shuffles
 from stagefilter.llm.components import components
 
-PARITY_WORDS = 16
+PARITY_WORDS = 8
 PARITY_BITS = 64 * PARITY_WORDS
 UPPER_TO_LOWER = bytes.maketrans(b"ABCDEFGHIJKLMNOPQRSTUVWXYZ", b"abcdefghijklmnopqrstuvwxyz")
 
