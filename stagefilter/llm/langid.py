@@ -215,8 +215,10 @@ def identify(docs: DataFrame, cfg: ByteConv = ByteConv(), net: ByteNet | None =
 
 def accepted(docs: DataFrame, least: float = 0.3, cfg: ByteConv = ByteConv()) -> DataFrame:
     """The documents, all columns as they are, whose language is known with at least this score."""
-    net = fit(docs, cfg)
+    net = fit(docs.select("doc_id", "text", "lang"), cfg)
     predict, names = _predictor(net), docs.columns
+    # Arrow functions take columns by name, so names that would have to be quoted are put aside
+    plain = docs.toDF(*[f"c{i}" for i in range(len(names))])
     at = (names.index("doc_id"), names.index("text"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -226,4 +228,4 @@ def accepted(docs: DataFrame, least: float = 0.3, cfg: ByteConv = ByteConv()) ->
                 keep = np.asarray(out.column(3)) >= least
                 yield batch.filter(pa.array(keep))
 
-    return docs.mapInArrow(run, docs.schema)
+    return plain.mapInArrow(run, plain.schema).toDF(*names)

@@ -101,7 +101,7 @@ def mix_sources(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
 def mixed_documents(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
     """The mixed corpus with the columns of docs: whole repetitions as repeated rows, a fractional one as the document's text up to the end of its last word taken, white space and all."""
     names = docs.columns
-    plan = mix_plan(docs.select("doc_id", "text", "source", *[F.col(c).alias(f"_own_{c}") for c in names]), cfg)
+    plan = mix_plan(docs.select("doc_id", "text", "source", *[F.col(f"`{c}`").alias(f"_own_{i}") for i, c in enumerate(names)]), cfg)
     copies = F.when(F.col("size") > 0, F.floor(F.col("taken") / F.col("size"))).otherwise(F.col("whole"))
     part = F.when(F.col("size") > 0, F.col("taken") % F.col("size")).otherwise(F.lit(0))
     n = (copies + F.when(part > 0, 1).otherwise(0)).cast("int")
@@ -113,5 +113,5 @@ def mixed_documents(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
     last = F.get(at, F.greatest(F.col("_part"), F.lit(1)).cast("int") - 1)
     head = F.substring("text", F.lit(1), F.length(F.array_join(F.slice(pieces, F.lit(1), last), " ")))
     text = F.when(F.col("_copy") > F.col("_copies"), head).otherwise(F.col("text"))
-    own = {"text": text, "n_chars": F.when(F.col("_copy") > F.col("_copies"), F.length(head)).otherwise(F.col("_own_n_chars")) if "n_chars" in names else None}
-    return rows.select(*[(own[c] if c in own else F.col(f"_own_{c}")).cast(docs.schema[c].dataType).alias(c) for c in names])
+    own = {"text": text, "n_chars": F.when(F.col("_copy") > F.col("_copies"), F.length(head)).otherwise(F.col(f"_own_{names.index('n_chars')}")) if "n_chars" in names else None}
+    return rows.select(*[(own[c] if c in own else F.col(f"_own_{i}")).cast(docs.schema[c].dataType).alias(c) for i, c in enumerate(names)])
