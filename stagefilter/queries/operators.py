@@ -187,10 +187,11 @@ def left_outer_counts(spark: SparkSession, sf: str) -> DataFrame:
     return table(spark, sf, "customer").join(o, F.col("c_custkey") == F.col("o_custkey"), "left").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
 
 
-@query("SELECT coalesce(a, b) AS k, a IS NOT NULL AS in_orders, b IS NOT NULL AS in_lines FROM (SELECT DISTINCT o_orderkey AS a FROM orders WHERE o_orderkey % 2 = 0) FULL JOIN (SELECT DISTINCT l_orderkey AS b FROM lineitem WHERE l_orderkey % 3 = 0) ON a = b")
+@query("SELECT coalesce(a, b) AS k, a IS NOT NULL AS in_orders, b IS NOT NULL AS in_lines FROM (SELECT DISTINCT o_orderkey AS a FROM orders WHERE o_orderpriority = '1-URGENT') FULL JOIN (SELECT DISTINCT l_orderkey AS b FROM lineitem WHERE l_returnflag = 'R') ON a = b")
 def full_outer_keysets(spark: SparkSession, sf: str) -> DataFrame:
-    a = table(spark, sf, "orders").filter("o_orderkey % 2 = 0").select(F.col("o_orderkey").alias("a")).distinct()
-    b = table(spark, sf, "lineitem").filter("l_orderkey % 3 = 0").select(F.col("l_orderkey").alias("b")).distinct()
+    """Keys of urgent orders against keys of orders with returned lines."""
+    a = table(spark, sf, "orders").filter("o_orderpriority = '1-URGENT'").select(F.col("o_orderkey").alias("a")).distinct()
+    b = table(spark, sf, "lineitem").filter("l_returnflag = 'R'").select(F.col("l_orderkey").alias("b")).distinct()
     return a.join(b, F.col("a") == F.col("b"), "full").select(F.coalesce("a", "b").alias("k"), F.col("a").isNotNull().alias("in_orders"), F.col("b").isNotNull().alias("in_lines"))
 
 
