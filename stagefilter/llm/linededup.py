@@ -343,10 +343,16 @@ def without_repeated_lines(docs: DataFrame, cfg: LineJoin = LineJoin()) -> DataF
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("d"))
     text, version = F.col("d.text"), F.xxhash64(F.coalesce(F.col("d.text"), F.lit("")))
     joined = rows.join(marks, (F.col("d.doc_id").cast("long") == F.col("doc_id")) & (version == F.col("version")), "left").select("d", "gone")
-    parts = F.split(text, "\n")
-    # a flag per line from the sorted numbers: gaps between them are runs of kept lines
-    edges = F.concat(F.array(F.lit(-1)), F.col("gone"), F.array(F.size(parts)))
-    runs = F.flatten(F.transform(F.slice(edges, F.lit(2), F.size(edges) - 1), lambda e, i: F.slice(parts, F.get(edges, i) + 2, e - F.get(edges, i) - 1)))
-    rebuilt = joined.select("d", "gone", F.when(F.col("gone").isNull(), text).otherwise(F.array_join(runs, "\n")).alias("kept"))
+
+    def without_gone(s: Column) -> Column:
+        """The kept lines: gaps between the sorted numbers of removed ones are runs of them."""
+        parts, edges = s.getField("parts"), s.getField("edges")
+        run = lambda e, i: F.slice(parts, F.get(edges, i) + 2, e - F.get(edges, i) - 1)
+        return F.array_join(F.flatten(F.transform(F.slice(edges, F.lit(2), F.size(edges) - 1), run)), "\n")
+
+    lines = F.split(text, "\n")
+    edges = F.concat(F.array(F.lit(-1)), F.col("gone"), F.array(F.size(lines)))
+    kept = let(F.struct(lines.alias("parts"), edges.alias("edges")), without_gone)
+    rebuilt = joined.select("d", "gone", F.when(F.col("gone").isNull(), text).otherwise(kept).alias("kept"))
     own = {"text": F.col("kept"), "n_chars": F.when(F.col("gone").isNull(), F.col("d.`n_chars`")).otherwise(F.length("kept"))} if "n_chars" in docs.columns else {"text": F.col("kept")}
     return rebuilt.select(*[own.get(c, F.col(f"d.`{c}`")).cast(docs.schema[c].dataType).alias(c) for c in docs.columns])

@@ -23,7 +23,7 @@ from dataclasses import dataclass
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from stagefilter.llm.common import OTHER_SPACE, cut, words
+from stagefilter.llm.common import OTHER_SPACE, cut, let, words
 
 
 @dataclass(frozen=True)
@@ -107,11 +107,14 @@ def mixed_documents(docs: DataFrame, cfg: Mix = Mix()) -> DataFrame:
     n = (copies + F.when(part > 0, 1).otherwise(0)).cast("int")
     rows = plan.withColumn("_part", part).withColumn("_copies", copies).filter(n > 0).withColumn("_copy", F.explode(F.sequence(F.lit(1), n)))
     spaced = F.translate("text", OTHER_SPACE, " " * len(OTHER_SPACE))
-    pieces = F.split(spaced, " ")
     # the pieces that are words; the text up to the last one taken stays as it is
-    at = F.filter(F.sequence(F.lit(1), F.size(pieces)), lambda i: F.get(pieces, i - 1) != "")
-    last = F.get(at, F.greatest(F.col("_part"), F.lit(1)).cast("int") - 1)
-    head = F.substring("text", F.lit(1), F.length(F.array_join(F.slice(pieces, F.lit(1), last), " ")))
+    def taken(pieces: Column) -> Column:
+        words_at = F.filter(F.sequence(F.lit(1), F.size(pieces)), lambda i: F.get(pieces, i - 1) != "")
+        last = F.get(words_at, F.greatest(F.col("_part"), F.lit(1)).cast("int") - 1)
+        return F.length(F.array_join(F.slice(pieces, F.lit(1), last), " "))
+
+    # the pieces are bound once: inside a function over places they would be cut anew for each
+    head = F.substring("text", F.lit(1), let(F.split(spaced, " "), taken))
     text = F.when(F.col("_copy") > F.col("_copies"), head).otherwise(F.col("text"))
     own = {"text": text, "n_chars": F.when(F.col("_copy") > F.col("_copies"), F.length(head)).otherwise(F.col(f"_own_{names.index('n_chars')}")) if "n_chars" in names else None}
     return rows.select(*[(own[c] if c in own else F.col(f"_own_{i}")).cast(docs.schema[c].dataType).alias(c) for i, c in enumerate(names)])
