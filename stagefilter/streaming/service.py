@@ -8,7 +8,6 @@ import numpy as np
 import pandas as pd
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StreamingQuery
 
 from stagefilter.functions.hashing import BLOCK_BITS, element_hash, positions
 from stagefilter.operators.bloom import BloomFilter
@@ -25,10 +24,13 @@ def lookup_stream(stream: DataFrame, f: BloomFilter, key: Column) -> DataFrame:
 
 
 def run_to_end(stream: DataFrame, name: str, checkpoint: str, mode: str = "append") -> DataFrame:
-    """All that is available, through a memory sink."""
-    q: StreamingQuery = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
-    q.awaitTermination()
-    return stream.sparkSession.table(name)
+    """All that is available. Appended rows go to Parquet files beside the checkpoint, so none of them pass the driver; a complete result, which is one row per group, goes through a memory sink."""
+    out = stream.writeStream.outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True)
+    if mode != "append":
+        out.format("memory").queryName(name).start().awaitTermination()
+        return stream.sparkSession.table(name)
+    out.format("parquet").queryName(name).start(f"{checkpoint}-{name}").awaitTermination()
+    return stream.sparkSession.read.schema(stream.schema).parquet(f"{checkpoint}-{name}")
 
 
 def insert_stream(keys: DataFrame, shape: BloomFilter, path: str, checkpoint: str) -> int:
