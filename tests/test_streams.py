@@ -24,3 +24,10 @@ def test_late_inserts_go_to_files(spark):
     before = in_memory_tables(spark)
     against_sql(spark, "late_insert_count")
     assert in_memory_tables(spark) == before
+
+
+@pytest.mark.parametrize("name", ["stream_filter_state", "stream_lookup_batch", "stream_static_join"])
+def test_appended_rows_go_to_files(spark, name):
+    before = in_memory_tables(spark)
+    against_sql(spark, name)
+    assert in_memory_tables(spark) == before
