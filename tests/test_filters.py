@@ -6,7 +6,7 @@ from stagefilter import experiments as X
 from stagefilter import measures as M
 from stagefilter.functions.hashing import element_hash, positions, positions_np
 from stagefilter.operators.amq import CountingBloom, CuckooFilter, QuotientFilter
-from stagefilter.operators.baselines import HashAdaptive, ProjectionHash
+from stagefilter.operators.baselines import HashAdaptive, ProjectionHash, histograms
 from stagefilter.operators.bloom import BloomFilter, ShardedBloom
 from stagefilter.operators.boosting import Boosting
 from stagefilter.operators.staged import build
@@ -155,3 +155,27 @@ def test_registered_functions_with_nulls(spark):
     keys.unionByName(keys.limit(1).selectExpr("cast(null as bigint) as h", "x")).coalesce(1).createOrReplaceTempView("tn_rows")
     r = spark.sql("select count_if(tn_bloom_has(h) and tn_maybe_in(h, x)) as hits, count_if(h is null and (tn_bloom_has(h) or tn_maybe_in(h, x))) as wrong from tn_rows").first()
     assert r.hits == 200 and r.wrong == 0
+
+def test_exact_quantiles_hold_no_values(spark):
+    """Equal to the library's percentile on scores with ties, negative values and both zeros; tasks hand on counts of digits, not values."""
+    from pyspark.sql import functions as F
+
+    from stagefilter.operators import flow
+
+    rows = spark.range(0, 20_011, 1, 5).select(F.array(F.rand(3), F.round(F.rand(4), 1), F.randn(5), F.lit(0.25), F.round(F.randn(6)) * F.lit(-0.0), F.rand(7) * 1e-300).alias("s"), F.lit("calib").alias("split")).persist()
+    shares = [1 - a for a in (0.1, 0.01, 0.001, 0.0001)] + [1.0, 0.0, 0.5]
+    want = rows.select(F.posexplode("s").alias("d", "s")).groupBy("d").agg(*[F.percentile("s", F.lit(q)).alias(f"q{i}") for i, q in enumerate(shares)]).orderBy("d").collect()
+    assert flow.exact_quantiles(rows, shares).tolist() == [[r[f"q{i}"] for i in range(len(shares))] for r in want]
+    assert flow.exact_quantiles(rows.filter("false"), shares).shape == (0, len(shares))
+    counts = flow._digit_counts(rows.select("s"), [], 52, 12)
+    assert len(counts) == 6 and all(c.sum() == 20_011 for c in counts.values())
+
+
+def test_bench_keeps_nothing_in_the_cache(spark):
+    before = spark.sparkContext._jsc.getPersistentRDDs().size()
+    b = X.Bench(spark, SF, "orders_mix", Boosting(rounds=3, depth=2))
+    assert spark.sparkContext._jsc.getPersistentRDDs().size() == before
+    scored = b.scored.cache()
+    keys, others = histograms(scored)
+    assert (keys == b.keys).all() and (others == b.others).all() and b.n == scored.filter("is_key").count()
+    scored.unpersist()
