@@ -8,7 +8,7 @@ from pyspark.errors import AnalysisException
 from stagefilter import registry
 
 READING = (
-    "backup_rule", "bloom_ideal_bits", "bloom_size_grid", "construction_variants_agree", "cross_config_grid", "dp_equals_bruteforce", "dp_value_chain", "frontier_pivot", "frontier_unpivot", "gate_neutrality", "lambda_frontier",
+    "backup_rule", "bloom_ideal_bits", "bloom_size_grid", "construction_variants_agree", "cross_config_grid", "dp_equals_bruteforce", "dp_value_chain", "expected_latency_curve", "frontier_pivot", "frontier_unpivot", "gate_neutrality", "lambda_frontier",
 )
 
 
