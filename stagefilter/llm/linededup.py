@@ -10,7 +10,7 @@ Two such lines share at least one of the k + 1 segments of the shorter one, at a
 the edits can't have moved far. So each distinct line of n symbols is filed under its
 segments (hash of n, segment number and content), and probes the files of the lengths
 n - k .. n with the few runs of symbols that can match, chosen by the multi-match rule. The
-places to look at are one small constant table, joined to every line by a generator. Keys
+places to look at are small constant tables by threshold, joined to every line by a generator. Keys
 are shuffled once, texts never; lines that are repeated very often, of which there can only
 be so many, are collapsed before. Only keys with two different lines, one of them filed, go
 on, and only their lines' texts are fetched again.
@@ -130,14 +130,23 @@ def places(cfg: LineJoin) -> list[tuple[int, int, int, int, bool]]:
     return out
 
 
+def _places_of(n: Column, by_words: Column, cfg: LineJoin) -> Column:
+    """The places for a line of n symbols: of the thresholds that it or a filed line up to `band` symbols shorter can have."""
+    low, high, out = cfg.threshold(n - cfg.band, by_words), cfg.threshold(n, by_words), None
+    for a in range(cfg.edits, cfg.band + 1):
+        for b in range(a, cfg.band + 1):
+            some = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s"), F.lit(i).alias("i"), F.lit(m).alias("m"), F.lit(f).alias("filed")) for k, s, i, m, f in places(cfg) if a <= k <= b])
+            out = some if out is None else F.when((low == a) & (high == b), some).otherwise(out)
+    return out
+
+
 def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
     """id, by_words, key, filed: what each line is filed under and what it probes."""
-    table = F.array(*[F.struct(F.lit(k).alias("k"), F.lit(s).alias("s"), F.lit(i).alias("i"), F.lit(m).alias("m"), F.lit(f).alias("filed")) for k, s, i, m, f in places(cfg)])
     n_words = F.size(F.split("line", " "))
     forms = F.array(F.lit(False)) if not cfg.long else F.when(n_words < cfg.long, F.array(F.lit(False))).when(n_words < cfg.long + cfg.band, F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(True)))
     each = lines.select("line", F.explode(forms).alias("by_words"))
     coded = each.select(F.xxhash64("line").alias("id"), "by_words", code(F.col("line"), F.col("by_words")).alias("code")).withColumn("n", F.length("code"))
-    at = coded.select("id", "by_words", "code", "n", F.inline(table)).withColumn("l", F.col("n") - F.col("s"))
+    at = coded.select("id", "by_words", "code", "n", F.inline(_places_of(F.col("n"), F.col("by_words"), cfg))).withColumn("l", F.col("n") - F.col("s"))
     at = at.filter((F.col("l") > 0) & (cfg.threshold(F.col("l"), F.col("by_words")) == F.col("k")))
     # nearly even segments, the longer ones last
     even = F.floor(F.col("l") / (F.col("k") + 1)).cast("int")
@@ -301,7 +310,9 @@ def line_components(lines: DataFrame, cfg: LineJoin = LineJoin()) -> DataFrame:
     before = [F.lag("id").over(Window.partitionBy("key").orderBy(*order, "id")) for order in (["n"], ["head"], ["tail"])]
     chain = known.select("id", "by_words", F.array(*before).alias("before")).select("id", "by_words", F.explode("before").alias("before")).filter("before is not null")
     links = cut(_verified(chain.select(*_pair("id", "before"), "by_words").filter("a <> b").distinct(), texts, cfg))
-    late = cut(_verified(_across(met, texts, components(links)), texts, cfg))
+    near = components(links)
+    release_finished_shuffles(lines.sparkSession)
+    late = cut(_verified(_across(met, texts, near), texts, cfg))
     found = components(links.union(late))
     return found.union(found.select("component", "component")).distinct()
 

@@ -103,3 +103,24 @@ def test_components(spark):
     got = {r.node: r.component for r in components(spark.createDataFrame(links, "a long, b long")).collect()}
     assert got == {x: find(x) for x in root if find(x) != x}
     assert prefix_length(10, 90) == 2
+
+
+def test_few_links_take_one_job_and_many_the_stars(spark):
+    rng = random.Random(3)
+    # a long chain in random order, stars both ways and a ring
+    chain = rng.sample(range(1000, 3000), 400)
+    links = list(zip(chain, chain[1:], strict=False)) + [(5, i) for i in range(10, 60)] + [(900, i) for i in range(100, 160)] + [(200 + i, 200 + (i + 1) % 9) for i in range(9)] + [(7, 7)]
+    rng.shuffle(links)
+    df, tracker = spark.createDataFrame(links, "a long, b long"), spark.sparkContext.statusTracker()
+
+    def run(few: int) -> tuple[dict, int]:
+        spark.sparkContext.setJobGroup(group := f"components-{few}", "")
+        got = {r.node: r.component for r in components(df, few=few).collect()}
+        jobs = len(tracker.getJobIdsForGroup(group))
+        spark.sparkContext.setJobGroup("", "")
+        return got, jobs
+
+    few, many = run(len(links)), run(0)
+    assert few[0] == many[0]
+    assert few[1] <= 8 < many[1]
+    assert components(df.filter("a = b")).count() == 0

@@ -3,7 +3,7 @@ import re
 
 from pyspark.sql import functions as F
 
-from stagefilter.llm.linededup import GROWING, LineJoin, line_classes, line_components, line_links, signature, signatures_close, within_edits, without_repeated_lines
+from stagefilter.llm.linededup import GROWING, LineJoin, line_classes, line_components, line_keys, line_links, places, signature, signatures_close, within_edits, without_repeated_lines
 
 SF = "/root/testdata/sf0.01"
 
@@ -251,3 +251,25 @@ def test_clashing_columns_and_long_texts(spark):
     got = {r[0]: r for r in out.collect()}
     assert got[2][1] == "another ending" and got[2][2:] == tuple(range(10)) and got[3][1] is None
     assert got[1][1].count("\n") == 2
+
+
+def test_places_are_those_of_the_line_s_own_thresholds(spark):
+    """Lines get the places of thresholds they can have, not the places of all; no key is lost by that."""
+    df = spark.createDataFrame([("x" * n,) for n in range(8, 120)] + [(" ".join(["w"] * n),) for n in range(20, 90)], "line string")
+    want = 0
+    for r in df.collect():
+        n_words = len(r.line.split(" "))
+        for by_words in [False] * (n_words < 20) + [False, True] * (20 <= n_words < 23) + [True] * (n_words >= 23):
+            n = n_words if by_words else len(r.line)
+            threshold = lambda l: min(3, max(1, l // (20 if by_words else 25)))  # noqa: B023, E731, E741
+            for k, s, i, m, _ in places(GROWING):
+                length = n - s
+                if length <= 0 or threshold(length) != k:
+                    continue
+                sizes = [length // (k + 1) + (j > k + 1 - length % (k + 1)) for j in range(1, k + 2)]
+                start = 1 + sum(sizes[: i - 1]) + m
+                want += start >= 1 and start + sizes[i - 1] - 1 <= n
+    keys = line_keys(df, GROWING)
+    assert keys.count() == want
+    plan = keys._jdf.queryExecution().optimizedPlan().toString()
+    assert "CASE WHEN" in plan.split("Generate")[1]
