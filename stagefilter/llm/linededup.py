@@ -141,7 +141,7 @@ def _places_of(n: Column, by_words: Column, cfg: LineJoin) -> Column:
 
 
 def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
-    """id, by_words, key, filed: what each line is filed under and what it probes."""
+    """id, key, filed: what each line is filed under and what it probes. The lowest bit of a key says whether the line is compared by words there; these rows are most of what is shuffled, so they have no column for it."""
     n_words = F.size(F.split("line", " "))
     forms = F.array(F.lit(False)) if not cfg.long else F.when(n_words < cfg.long, F.array(F.lit(False))).when(n_words < cfg.long + cfg.band, F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(True)))
     each = lines.select("line", F.explode(forms).alias("by_words"))
@@ -154,7 +154,8 @@ def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
     start = 1 + even * (F.col("i") - 1) + F.greatest(F.lit(0), extra - (F.col("k") + 2 - F.col("i"))) + F.col("m")
     width = even + F.when(extra > F.col("k") + 1 - F.col("i"), 1).otherwise(0)
     at = at.select("id", "by_words", "code", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
-    return at.select("id", "by_words", F.xxhash64("by_words", "l", "i", F.substring("code", F.col("a"), F.col("w"))).alias("key"), "filed")
+    content = F.xxhash64("l", "i", F.substring("code", F.col("a"), F.col("w")))
+    return at.select("id", content.bitwiseAND(F.lit(-2).cast("long")).bitwiseOR(F.col("by_words").cast("long")).alias("key"), "filed")
 
 
 def _without_common_ends(a: Column, b: Column) -> Column:
@@ -244,7 +245,8 @@ def _met(lines: DataFrame, cfg: LineJoin) -> DataFrame:
     """id, by_words, key, filed where a key is filed and has two different lines."""
     by = Window.partitionBy("key")
     shared = line_keys(lines, cfg).select("*", F.min("id").over(by).alias("low"), F.max("id").over(by).alias("high"), F.max("filed").over(by).alias("some"))
-    return cut(shared.filter("low < high and some").select("id", "by_words", "key", "filed").distinct())
+    by_words = (F.col("key").bitwiseAND(F.lit(1).cast("long")) == 1).alias("by_words")
+    return cut(shared.filter("low < high and some").select("id", by_words, "key", "filed").distinct())
 
 
 def _texts(lines: DataFrame, met: DataFrame, cfg: LineJoin) -> DataFrame:

@@ -273,3 +273,14 @@ def test_places_are_those_of_the_line_s_own_thresholds(spark):
     assert keys.count() == want
     plan = keys._jdf.queryExecution().optimizedPlan().toString()
     assert "CASE WHEN" in plan.split("Generate")[1]
+
+
+def test_keys_are_narrow_and_tell_the_symbols(spark):
+    """Three columns are shuffled; a line compared both ways has keys of both kinds, a short one those of characters."""
+    lines = ["a short line of text", " ".join(f"w{i}" for i in range(21)), " ".join(f"w{i}" for i in range(40))]
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    keys = line_keys(df, GROWING)
+    assert keys.columns == ["id", "key", "filed"]
+    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
+    kinds = {x: {r.key & 1 for r in keys.collect() if of[r.id] == x} for x in lines}
+    assert [kinds[x] for x in lines] == [{0}, {0, 1}, {1}]
