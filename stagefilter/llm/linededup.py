@@ -42,7 +42,7 @@ from pyspark.sql import functions as F
 from stagefilter.llm.common import cut, let, release_finished_shuffles
 from stagefilter.llm.components import components
 
-#: Symbols fall into so many classes: one letter of a line's code, one bit of its signature.
+#: Symbols fall into so many classes: one bit of a line's signature.
 CLASSES = 126
 BLANK = " \t\n\x0b\x0c\r"
 
@@ -93,12 +93,6 @@ def symbols(line: Column, by_words: Column | bool) -> Column:
     return F.when(by_words, F.split(line, " ")).otherwise(F.split(line, ""))
 
 
-def code(line: Column, by_words: Column) -> Column:
-    """A text with one character for each symbol: the line itself, or a letter of the class of each word. Equal symbols have equal letters."""
-    letters = F.transform(F.split(line, " "), lambda w: F.char(F.pmod(F.hash(w), F.lit(CLASSES)) + 1))
-    return F.when(by_words, F.array_join(letters, "")).otherwise(line)
-
-
 def signature(line: Column, by_words: Column | bool = False) -> Column:
     """Two words with a bit for each class: whether the line has an odd number of its symbols."""
 
@@ -142,19 +136,22 @@ def _places_of(n: Column, by_words: Column, cfg: LineJoin) -> Column:
 
 def line_keys(lines: DataFrame, cfg: LineJoin) -> DataFrame:
     """id, key, filed: what each line is filed under and what it probes. The lowest bit of a key says whether the line is compared by words there; these rows are most of what is shuffled, so they have no column for it."""
-    n_words = F.size(F.split("line", " "))
-    forms = F.array(F.lit(False)) if not cfg.long else F.when(n_words < cfg.long, F.array(F.lit(False))).when(n_words < cfg.long + cfg.band, F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(True)))
-    each = lines.select("line", F.explode(forms).alias("by_words"))
-    coded = each.select(F.xxhash64("line").alias("id"), "by_words", code(F.col("line"), F.col("by_words")).alias("code")).withColumn("n", F.length("code"))
-    at = coded.select("id", "by_words", "code", "n", F.inline(_places_of(F.col("n"), F.col("by_words"), cfg))).withColumn("l", F.col("n") - F.col("s"))
+    n_words = F.octet_length("line") - F.octet_length(F.replace("line", F.lit(" "), F.lit(""))) + 1
+    forms = F.array(F.lit(False)) if not cfg.long else F.when(F.col("n_words") < cfg.long, F.array(F.lit(False))).when(F.col("n_words") < cfg.long + cfg.band, F.array(F.lit(False), F.lit(True))).otherwise(F.array(F.lit(True)))
+    each = lines.select("line", n_words.alias("n_words")).select("line", "n_words", F.explode(forms).alias("by_words"))
+    n = F.when(F.col("by_words"), F.col("n_words")).otherwise(F.length("line"))
+    # plain functions only: one with a lambda is interpreted, word by word
+    cut_up = each.select(F.xxhash64("line").alias("id"), "by_words", "line", F.when(F.col("by_words"), F.split("line", " ")).alias("words"), n.alias("n"))
+    at = cut_up.select("id", "by_words", "line", "words", "n", F.inline(_places_of(F.col("n"), F.col("by_words"), cfg))).withColumn("l", F.col("n") - F.col("s"))
     at = at.filter((F.col("l") > 0) & (cfg.threshold(F.col("l"), F.col("by_words")) == F.col("k")))
     # nearly even segments, the longer ones last
     even = F.floor(F.col("l") / (F.col("k") + 1)).cast("int")
     extra = F.col("l") - even * (F.col("k") + 1)
     start = 1 + even * (F.col("i") - 1) + F.greatest(F.lit(0), extra - (F.col("k") + 2 - F.col("i"))) + F.col("m")
     width = even + F.when(extra > F.col("k") + 1 - F.col("i"), 1).otherwise(0)
-    at = at.select("id", "by_words", "code", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
-    content = F.xxhash64("l", "i", F.substring("code", F.col("a"), F.col("w")))
+    at = at.select("id", "by_words", "line", "words", "n", "l", "i", "filed", start.alias("a"), width.alias("w")).filter((F.col("a") >= 1) & (F.col("a") + F.col("w") - 1 <= F.col("n")))
+    run = lambda symbols: F.xxhash64("l", "i", symbols)
+    content = F.when(F.col("by_words"), run(F.slice("words", F.col("a"), F.col("w")))).otherwise(run(F.substring("line", F.col("a"), F.col("w"))))
     return at.select("id", content.bitwiseAND(F.lit(-2).cast("long")).bitwiseOR(F.col("by_words").cast("long")).alias("key"), "filed")
 
 

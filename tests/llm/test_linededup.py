@@ -284,3 +284,18 @@ def test_keys_are_narrow_and_tell_the_symbols(spark):
     of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
     kinds = {x: {r.key & 1 for r in keys.collect() if of[r.id] == x} for x in lines}
     assert [kinds[x] for x in lines] == [{0}, {0, 1}, {1}]
+
+
+def test_keys_of_words_are_made_by_plain_functions(spark):
+    """No lambda, which is interpreted word by word; symbols are what single spaces separate, and runs of equal words have equal keys."""
+    words = [f"wörd{i}" for i in range(41)]
+    lines = [" ".join(words), " ".join([*words[:40], "other"]), " ".join(f"x{i}" for i in range(41)), " " + "  ".join(f"y{i}" for i in range(20)) + " "]
+    df = spark.createDataFrame([(x,) for x in lines], "line string")
+    keys = line_keys(df, GROWING)
+    assert "lambda" not in keys._jdf.queryExecution().optimizedPlan().toString()
+    of = {r.id: r.line for r in df.select(F.xxhash64("line").alias("id"), "line").collect()}
+    held = {x: {r.key for r in keys.collect() if of[r.id] == x and r.filed} for x in lines}
+    # thresholds are 2 (40 or 41 words, the last with empty ones): three segments each
+    assert [len(held[x]) for x in lines] == [3, 3, 3, 3]
+    # one word at the end is another: two of the three segments are shared, and none with different words
+    assert len(held[lines[0]] & held[lines[1]]) == 2 and not held[lines[0]] & held[lines[2]]
